@@ -2,9 +2,15 @@
 
 from __future__ import annotations
 
-from . import compression_bands, sharding
+from . import compression_bands, licence_scan, line_dedup, piece_counts, sharding
 
-_OPERATORS = (compression_bands.op4_compression_bands, sharding.op10_byte_prefix_shards)
+_OPERATORS = (
+    line_dedup.op2_line_dedup,
+    compression_bands.op4_compression_bands,
+    piece_counts.op8_viterbi_counts,
+    licence_scan.op9_licence_dice,
+    sharding.op10_byte_prefix_shards,
+)
 
 
 def queries() -> dict:
@@ -12,4 +18,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_line_dedup": line_dedup.OP2_SQL}
