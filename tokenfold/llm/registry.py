@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import compression_bands, licence_scan, line_dedup, piece_counts, sharding
+from . import compression_bands, licence_scan, line_dedup, packing, piece_counts, sharding
 
 _OPERATORS = (
+    packing.op1_bm25_packing,
     line_dedup.op2_line_dedup,
     compression_bands.op4_compression_bands,
     piece_counts.op8_viterbi_counts,
