@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import cgk_decontamination, compression_bands, licence_scan, line_dedup, packing, piece_counts, sharding
+from . import cgk_decontamination, chosen_path, compression_bands, licence_scan, line_dedup, packing, piece_counts, sharding
 
 _OPERATORS = (
     packing.op1_bm25_packing,
     line_dedup.op2_line_dedup,
     cgk_decontamination.op3_cgk_decontamination,
     compression_bands.op4_compression_bands,
+    chosen_path.op5_chosen_path_join,
     piece_counts.op8_viterbi_counts,
     licence_scan.op9_licence_dice,
     sharding.op10_byte_prefix_shards,
