@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import cgk_decontamination, chosen_path, compression_bands, licence_scan, line_dedup, packing, piece_counts, sharding, sparse_suffixes
+from . import cgk_decontamination, chosen_path, compression_bands, cotraining, licence_scan, line_dedup, packing, piece_counts, sharding, sparse_suffixes
 
 _OPERATORS = (
     packing.op1_bm25_packing,
@@ -10,6 +10,7 @@ _OPERATORS = (
     cgk_decontamination.op3_cgk_decontamination,
     compression_bands.op4_compression_bands,
     chosen_path.op5_chosen_path_join,
+    cotraining.op6_cotraining,
     sparse_suffixes.op7_sparse_suffixes,
     piece_counts.op8_viterbi_counts,
     licence_scan.op9_licence_dice,
