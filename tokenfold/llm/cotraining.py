@@ -31,10 +31,12 @@ class CoTraining:
     #: Examples that a view gives in a round, of each class, and how sure it must be.
     gives: int = 200
     sure: float = 0.95
+    #: Most of its error that may be left of the class's share in the labelled rows.
+    gain: float = 0.1
     bits: int = 16
     held_out: float = 0.3
-    steps: int = 60
-    l2: float = 1e-4
+    steps: int = 100
+    l2: float = 1e-5
 
 
 _STRIP = re.compile(r"^\W+|\W+$")
@@ -112,7 +114,11 @@ class Model:
 
 
 def fit(rows: list[np.ndarray], y: np.ndarray, dims: int, opts: CoTraining) -> Model:
-    """Logistic regression by full-batch steps of Adagrad, classes weighted alike."""
+    """Logistic regression by full-batch steps of Adagrad, classes weighted alike.
+
+    Each feature is scaled by its log ratio of frequencies in the two classes, so
+    that a few telling words outweigh the many that say nothing.
+    """
     w, bias = np.zeros(dims), 0.0
     if not len(rows) or len(np.unique(y)) < 2:
         p = float(np.clip(y.mean() if len(y) else 0.5, 0.01, 0.99))
@@ -122,16 +128,17 @@ def fit(rows: list[np.ndarray], y: np.ndarray, dims: int, opts: CoTraining) -> M
     used, at = np.unique(at, return_inverse=True)
     scale, own = 1 / np.sqrt(n), np.repeat(np.arange(len(rows)), n)
     share = np.where(y > 0, 0.5 / max(1, y.sum()), 0.5 / max(1, (1 - y).sum()))
-    v, seen, seen_bias = np.zeros(len(used)), np.full(len(used), 1e-8), 1e-8
+    ratio = np.log((np.bincount(at, y[own], len(used)) + 0.5) / (y.sum() + 1)) - np.log((np.bincount(at, 1 - y[own], len(used)) + 0.5) / ((1 - y).sum() + 1))
+    v, seen, seen_bias = np.ones(len(used)), np.full(len(used), 1e-8), 1e-8
     for _ in range(opts.steps):
-        z = np.add.reduceat(v[at], start) * scale + bias
+        z = np.add.reduceat((v * ratio)[at], start) * scale + bias
         e = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) * share
-        g = np.bincount(at, (e * scale)[own], minlength=len(used)) + opts.l2 * v
+        g = np.bincount(at, (e * scale)[own], minlength=len(used)) * ratio + opts.l2 * v
         gb = e.sum()
         seen, seen_bias = seen + g * g, seen_bias + gb * gb
         v -= 0.5 * g / np.sqrt(seen)
         bias -= 0.5 * gb / np.sqrt(seen_bias)
-    w[used] = v
+    w[used] = v * ratio
     return Model(w, float(bias))
 
 
@@ -189,8 +196,9 @@ def co_train(text: list[np.ndarray], meta: list[np.ndarray], y: np.ndarray, pool
         for v in (0, 1):
             p = _sigmoid(models[v].odds(pool[v]) * calibrations[v][0] + calibrations[v][1])
             for label in (0.0, 1.0):
-                sure = p if label else 1 - p
-                new = [i for i in np.argsort(-sure, kind="stable").tolist() if sure[i] >= opts.sure and i not in extra[1 - v]][: opts.gives]
+                sure, base = (p, y[:cut].mean()) if label else (1 - p, 1 - y[:cut].mean())
+                least = max(opts.sure, 1 - opts.gain * (1 - base))  # a common class is no news
+                new = [i for i in np.argsort(-sure, kind="stable").tolist() if sure[i] >= least and i not in extra[1 - v]][: opts.gives]
                 extra[1 - v].update((i, label) for i in new)
                 given[v] += len(new)
     both = np.column_stack([models[v].odds(held[v]) * calibrations[v][0] + calibrations[v][1] for v in (0, 1)]) if held[0] else np.zeros((0, 2))
