@@ -19,14 +19,16 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import ahocorasick
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fresh, mix, settle, table, texts
+from .common import fresh, mix, table, texts
 
 
 @dataclass(frozen=True)
@@ -220,6 +222,32 @@ def _search(items: list[tuple[object, str]], opts: Walks, item_type: pa.DataType
     return search
 
 
+def _item_blocks(items: DataFrame, item_key: str, item_text: str, size: int) -> Iterator[list[tuple[object, str]]]:
+    """The items in order, one block at a time; one empty block if there is none."""
+    rows: list[tuple[object, str]] = []
+    none = True
+    for row in items.select(item_key, item_text).orderBy(item_key, item_text).toLocalIterator():
+        rows.append((row[0], row[1]))
+        if len(rows) == size:
+            yield rows
+            rows, none = [], False
+    if rows or none:
+        yield rows
+
+
+def _holds(rows: list[tuple[object, str]], opts: Walks):
+    def holds(column: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        block = Items(rows, opts)
+        for series in column:
+            out = np.zeros(len(series), bool)
+            for low in range(0, len(series), 128):
+                out[[low + f[0] for f in block(texts(series[low : low + 128]))]] = True
+            yield pd.Series(out)
+
+    holds.__annotations__ = {"column": Iterator[pd.Series], "return": Iterator[pd.Series]}
+    return F.pandas_udf(holds, "boolean").asNondeterministic()
+
+
 def contaminated(df: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", opts: Walks = Walks()) -> DataFrame:
     """Each document and item of which it holds a passage: keys, edits, and start and end (code points) of the best place.
 
@@ -228,32 +256,20 @@ def contaminated(df: DataFrame, items: DataFrame, key: str = "doc_id", text: str
     searched. Items are read in blocks, and each block is searched in all documents.
     """
     kind, item_kind = df.schema[key].dataType.simpleString(), items.schema[item_key].dataType.simpleString()
-    item_type = pa.int64() if item_kind in ("bigint", "long") else pa.int32() if item_kind == "int" else pa.string()
+    item_type = {"bigint": pa.int64(), "int": pa.int32()}.get(item_kind, pa.string())
     names = [key, item_key if item_key != key else f"item_{item_key}", "edits", "start", "end"]
     schema = f"`{key}` {kind}, `{names[1]}` {item_kind}, edits int, start int, end int"
-    docs, out, rows = df.select(F.col(key), F.col(text).cast("string")), None, []
+    docs = df.select(F.col(key), F.col(text).cast("string"))
+    found = [docs.mapInArrow(_search(rows, opts, item_type, names), schema) for rows in _item_blocks(items, item_key, item_text, opts.block)]
+    return reduce(DataFrame.unionByName, found)
 
-    def block(rows: list) -> None:
-        nonlocal out
-        found = docs.mapInArrow(_search(rows, opts, item_type, names), schema)
-        out = found if out is None else out.unionByName(found)
 
-    for row in items.select(item_key, item_text).orderBy(item_key, item_text).toLocalIterator():  # one block at a time
-        rows.append((row[0], row[1]))
-        if len(rows) == opts.block:
-            block(rows)
-            rows = []
-    if rows or out is None:
-        block(rows)
-    return out
-
-
-def drop_contaminated(df: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", opts: Walks = Walks(), item_key: str = "item_id", item_text: str = "text") -> DataFrame:
-    """The rows whose text holds no item, with all columns as they were."""
-    flag = fresh(df, "_row")
-    numbered = settle(df.withColumn(flag, F.monotonically_increasing_id()), "numbered")
-    hit = settle(contaminated(numbered.select(F.col(flag), F.col(text).alias("_text")), items, flag, "_text", item_key, item_text, opts).select(flag).distinct(), "contaminated")
-    return numbered.join(hit, flag, "left_anti").select(df.columns)
+def drop_contaminated(df: DataFrame, items: DataFrame, text: str = "text", item_key: str = "item_id", item_text: str = "text", opts: Walks = Walks()) -> DataFrame:
+    """The rows whose text holds no item, with all columns as they were; texts stay where they are."""
+    flag = fresh(df, "_holds")
+    for rows in _item_blocks(items, item_key, item_text, opts.block):
+        df = df.withColumn(flag, _holds(rows, opts)(F.col(text).cast("string"))).filter(~F.col(flag)).drop(flag)
+    return df
 
 
 def op3_cgk_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

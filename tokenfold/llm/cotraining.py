@@ -193,7 +193,7 @@ def co_train(text: list[np.ndarray], meta: list[np.ndarray], y: np.ndarray, pool
         calibrations = [scale_odds(models[v].odds(held[v])[:, None], y[cut:]) if len(held[v]) else np.array([1.0, 0.0]) for v in (0, 1)]
         if step == opts.rounds or not pool[0]:
             break
-        for v in (0, 1):
+        for v in (0, 1) if len(y) else ():
             p = _sigmoid(models[v].odds(pool[v]) * calibrations[v][0] + calibrations[v][1])
             for label in (0.0, 1.0):
                 sure, base = (p, y[:cut].mean()) if label else (1 - p, 1 - y[:cut].mean())

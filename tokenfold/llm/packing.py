@@ -1,8 +1,8 @@
 """Packing by lexical retrieval.
 
-Documents become token ids. The leading term of each document, its highest BM25
-weight under document frequencies of the whole corpus, routes it to a shard, so
-that documents about the same words meet; a term with more tokens than a shard
+Documents become token ids. The leading term of each document, the rarest of those
+that it shares with another under document frequencies of the whole corpus, routes
+it to a shard, so that documents about the same words meet; a term with more tokens than a shard
 holds is dealt over several shards, and rare terms share one. Each shard builds an
 inverted index over the rests of its documents that do not fill a window of their
 own. A seed asks the index for its unused neighbours, which fill the seed's window
@@ -16,18 +16,21 @@ sends out is bounded by the vocabulary and the number of tasks, not by the corpu
 
 from __future__ import annotations
 
+import os
 from collections.abc import Iterator
 from dataclasses import dataclass
+from unicodedata import is_normalized
 
 import numpy as np
 import pandas as pd
 import public_tokenizers
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from .common import MEMO_WORDS, settle, table, texts
+from .common import MEMO_WORDS, settle, table
 
 
 @dataclass(frozen=True)
@@ -50,51 +53,118 @@ class WordIds:
     tokenizer does not send a text through the tokenizer whole.
     """
 
-    def __init__(self, path: str, most: int = MEMO_WORDS):
+    def __init__(self, path: str, most: int = 3 * MEMO_WORDS):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         self.tokenizer = Tokenizer.from_file(path)
         self.size = self.tokenizer.get_vocab_size()
         self.dtype = np.dtype("<u2" if self.size <= 1 << 16 else "<u4")
         self.memo: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.most = most // 2
+        ends = self.tokenizer.get_vocab().items()
+        self.closes = np.zeros(self.size, bool)
+        self.closes[[i for w, i in ends if w.endswith("</w>")]] = True
+        self.tails = {t: self._whole(t) for t in ("", ".", ",")}
 
     def _pack(self, ids: list[int]) -> bytes:
         return np.array(ids, self.dtype).tobytes()
 
-    def __call__(self, batch: list[str]) -> list[bytes]:
+    def _learn(self, runs: set[str]) -> None:
+        """Remember the ids of new runs.
+
+        A capital, or one full stop or comma after a letter, leaves the other ids as
+        they are, so runs that differ only in these share one look-up. Runs of letters
+        are one word each, and are encoded many at a time: a word's last id, and no
+        other, ends in the mark of a word's end.
+        """
+        memo, old, words, others, made = self.memo, self.old, set(), set(), []
+        for r in runs:
+            if (got := old.get(r)) is not None:
+                memo[r] = got
+                continue
+            plain, tail = r, ""
+            if len(r) > 1 and r[-1] in ".," and r[-2].isalpha():
+                plain, tail = r[:-1], r[-1]
+            if "Σ" not in plain and (plain.isascii() or is_normalized("NFC", plain)):
+                plain = plain.lower()
+            if tail or plain != r:
+                made.append((r, plain, tail))
+            if plain in memo:
+                continue
+            if (got := old.get(plain)) is not None:
+                memo[plain] = got
+            elif plain.isalpha():
+                words.add(plain)
+            else:
+                others.add(plain)
+        listed = list(words)
+        for low in range(0, len(listed), 200):
+            some = listed[low : low + 200]
+            ids = np.array(self.tokenizer.encode(" ".join(some), add_special_tokens=False).ids, self.dtype)
+            ends = np.flatnonzero(self.closes[ids]) + 1
+            if len(ends) != len(some):
+                others.update(some)
+                continue
+            packed, at = ids.tobytes(), 0
+            for w, end in zip(some, (ends * self.dtype.itemsize).tolist(), strict=True):
+                memo[w] = packed[at:end]
+                at = end
+        rest = list(others)
+        for w, e in zip(rest, self.tokenizer.encode_batch_fast(rest, add_special_tokens=False), strict=True):
+            memo[w] = self._pack(e.ids)
+        for r, plain, tail in made:
+            memo[r] = memo[plain] + self.tails[tail]
+
+    def _whole(self, text: str) -> bytes:
+        return self._pack(self.tokenizer.encode(text, add_special_tokens=False).ids)
+
+    def _known(self, runs: list[str]) -> list[bytes]:
+        """Ids of distinct runs."""
         if len(self.memo) > self.most:
             self.old, self.memo = self.memo, {}
-        memo, split, missing = self.memo, [], {}
-        for t in batch:
-            if "\x1c" in t or "\x1d" in t or "\x1e" in t or "\x1f" in t:
-                split.append(None)
-                continue
-            runs = t.split()
-            split.append(runs)
-            missing.update((r, None) for r in runs if r not in memo)
-        new = [r for r in missing if not self._recalled(r)]
-        for i in range(0, len(new), 4096):
-            for r, e in zip(new[i : i + 4096], self.tokenizer.encode_batch(new[i : i + 4096], add_special_tokens=False), strict=True):
-                memo[r] = self._pack(e.ids)
-        get = memo.__getitem__
-        return [self._pack(self.tokenizer.encode(t, add_special_tokens=False).ids) if runs is None else b"".join(map(get, runs)) for t, runs in zip(batch, split, strict=True)]
-
-    def _recalled(self, run: str) -> bool:
-        got = self.old.get(run)
-        if got is not None:
-            self.memo[run] = got
-        return got is not None
-
-
-def _tokenise(path: str, end_id: int):
+        got = list(map(self.memo.get, runs))
+        if None in got:
+            self._learn({r for r, g in zip(runs, got, strict=True) if g is None})
+            get = self.memo.__getitem__
+            got = [get(r) if g is None else g for r, g in zip(runs, got, strict=True)]
+        return got
+
+    def __call__(self, column: pa.Array, end: list[int] | None = None) -> tuple[np.ndarray, pa.Array]:
+        """How many ids each text has, and the ids, with those of `end` after each text. Null counts as empty."""
+        column = pc.fill_null(column, "")
+        odd = pc.match_substring_regex(column, "[\x1c-\x1f]")
+        spread = pc.utf8_split_whitespace(pc.if_else(odd, "", column))
+        coded = spread.flatten().dictionary_encode()
+        known = self._known(coded.dictionary.to_pylist())
+        size = np.array([len(k) for k in known], np.int64) // self.dtype.itemsize
+        start, ids = np.cumsum(size) - size, np.frombuffer(b"".join(known), self.dtype)
+        codes = coded.indices.to_numpy()
+        n = size[codes]
+        before = np.concatenate([[0], np.cumsum(n)])
+        flat = ids[np.repeat(start[codes] - before[:-1], n) + np.arange(before[-1])]
+        edge = before[spread.offsets.to_numpy() - spread.offsets[0].as_py()]
+        tail = np.array(end or [], self.dtype)
+        rows = odd.to_numpy(zero_copy_only=False)
+        if rows.any() or len(tail) > 1:
+            parts = [np.frombuffer(self._whole(column[i].as_py()), self.dtype) if rows[i] else flat[edge[i] : edge[i + 1]] for i in range(len(column))]
+            parts = [np.concatenate([p, tail]) for p in parts]
+            lengths, flat = np.array([len(p) for p in parts], np.int64), np.concatenate(parts) if parts else flat
+        else:
+            lengths = np.diff(edge) + len(tail)
+            flat = np.insert(flat, edge[1:], tail[0]) if len(tail) else flat
+        ends = np.concatenate([[0], np.cumsum(lengths)]) * self.dtype.itemsize
+        return lengths, pa.Array.from_buffers(pa.large_binary(), len(lengths), [None, pa.py_buffer(ends.astype(np.int64)), pa.py_buffer(np.ascontiguousarray(flat))]).cast(pa.binary())
+
+
+def _tokenise(path: str, end_id: int, rows: int = 2048, most: int = 1 << 23):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = WordIds(path)
-        end = words._pack([end_id])
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
-                ids = [i + end for i in words(texts(part.column(1).to_pylist()))]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(i) // words.dtype.itemsize for i in ids], pa.int64()), pa.array(ids, pa.binary())], ["_id", "n", "ids"])
+            step = max(1, min(rows, most * batch.num_rows // max(1, batch.nbytes)))  # about as many bytes at once
+            for at in range(0, batch.num_rows, step):
+                part = batch.slice(at, step)
+                lengths, ids = words(part.column(1), [end_id])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(lengths), ids], ["_id", "n", "ids"])
 
     return run
 
@@ -127,17 +197,16 @@ class Weights:
         return terms, self.idf[terms] * tf * (o.k1 + 1) / (tf + o.k1 * (1 - o.b + o.b * len(ids) / self.mean))
 
 
-def _lead(weights: Weights, ids: np.ndarray) -> int:
-    terms, w = weights(ids)
-    return int(terms[np.argmax(w)])
-
-
-def _leads(weights: Weights, dtype: str):
-    """The leading term of each document: of equal weights the lowest id."""
+def _leads(rarity: np.ndarray, dtype: str):
+    """The rarest term of each document that another one has too; of equally rare ones the first in the text."""
 
     def lead(column: Iterator[pd.Series]) -> Iterator[pd.Series]:
         for series in column:
-            yield pd.Series([_lead(weights, np.frombuffer(i, dtype)) for i in series], dtype="int32")
+            out = []
+            for i in series:
+                ids = np.frombuffer(i, dtype)
+                out.append(ids[rarity[ids].argmax()])
+            yield pd.Series(out, dtype="int32")
 
     lead.__annotations__ = {"column": Iterator[pd.Series], "return": Iterator[pd.Series]}
     return F.pandas_udf(lead, "int").asNondeterministic()
@@ -290,7 +359,7 @@ def pack(df: DataFrame, key: str = "doc_id", text: str = "text", tokenizer: str
         frequency[r["term"]] = r["df"]
     docs, tokens = ids.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
     weights = Weights(frequency, docs, tokens / max(docs, 1), opts)
-    lead = _leads(weights, dtype)
+    lead = _leads(np.where(frequency > 1, weights.idf, 0), dtype)
 
     per_lead = ids.select("n", lead("ids").alias("lead")).groupBy("lead").agg(F.sum("n").alias("n")).collect()  # as above
     first, share = lay_out({r["lead"]: r["n"] for r in per_lead}, size, opts.shard_tokens)
