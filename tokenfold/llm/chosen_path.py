@@ -39,7 +39,7 @@ class Join:
     depth: int = 4
     #: Standard deviations by which an estimate may fall short of the least similarity.
     margin: float = 4.0
-    #: Sets that are compared exactly in one task's block.
+    #: Nodes of a large bucket or group that are compared with each other in one task.
     block: int = 1024
 
     @property
@@ -136,23 +136,13 @@ def _children(opts: Join, level: int):
     return split
 
 
-class Forest:
-    """Union-find over row numbers; the least row is the root."""
-
-    def __init__(self, n: int):
-        self.up = list(range(n))
-
-    def find(self, i: int) -> int:
-        up = self.up
-        while up[i] != i:
-            up[i] = up[up[i]]
-            i = up[i]
-        return i
-
-    def join(self, i: int, j: int) -> None:
-        i, j = self.find(i), self.find(j)
-        if i != j:
-            self.up[max(i, j)] = min(i, j)
+def label(linked: np.ndarray, first: int, labels: np.ndarray) -> None:
+    """Join the rows first, first + 1, ... with those that they are linked to; a label is the least row of its group."""
+    for i, row in enumerate(linked, first):
+        near = labels[row]
+        if len(near) and ((near != labels[i]).any()):
+            old = np.unique(np.append(near, labels[i]))
+            labels[np.isin(labels, old)] = old[0]
 
 
 def by_group(handle: Callable[[object, pa.Table], pa.RecordBatch | None]):
@@ -186,30 +176,19 @@ def by_group(handle: Callable[[object, pa.Table], pa.RecordBatch | None]):
     return run
 
 
-def _pairs_by_estimate(emb: np.ndarray, least: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Rows i < j with enough equal values, for some i at a time."""
-    n, t = emb.shape
-    step = max(1, (1 << 22) // (n * t))
-    for low in range(0, n, step):
-        same = (emb[low : low + step, None, :] == emb[None, :, :]).sum(axis=2)
-        i, j = np.nonzero(same >= least)
-        i += low
-        yield i[i < j], j[i < j]
-
-
 def _compare(opts: Join):
     """Star edges between the nodes of a bucket (or of two of its blocks) that look similar enough."""
 
     def handle(_, t: pa.Table) -> pa.RecordBatch | None:
-        if t.num_rows < 2:
+        n = t.num_rows
+        if n < 2:
             return None
         emb = _matrix(t.column("emb").combine_chunks(), "<u4", opts.values)
-        forest = Forest(len(emb))
-        for i, j in _pairs_by_estimate(emb, opts.loose):
-            for x, y in zip(i.tolist(), j.tolist(), strict=True):
-                forest.join(x, y)
-        root = np.array([forest.find(i) for i in range(len(emb))])
-        a = np.flatnonzero(root != np.arange(len(emb)))
+        root, step = np.arange(n), max(1, (1 << 22) // (n * opts.values))
+        for low in range(0, n, step):
+            same = (emb[low : low + step, None, :] == emb[None, :, :]).sum(axis=2)
+            label(same >= opts.loose, low, root)
+        a = np.flatnonzero(root != np.arange(n))
         node = t.column("node").combine_chunks()
         return pa.RecordBatch.from_arrays([node.take(pa.array(a)), node.take(pa.array(root[a]))], ["a", "b"])
 
@@ -269,12 +248,10 @@ def _verify(opts: Join):
         if len(np.unique(blocks)) > 1:  # pairs inside one block are another task's
             linked &= blocks[:, None] != blocks[None, :]
         links = linked @ np.array([seen[x][1] for x in nodes], np.int64)
-        forest = Forest(len(nodes))
-        for i in range(len(nodes)):
-            for j in np.flatnonzero(linked[i, :i]):
-                forest.join(i, int(j))
+        root = np.arange(len(nodes))
+        label(linked, 0, root)
         keep = np.flatnonzero(links)
-        return pa.RecordBatch.from_arrays([pa.array([nodes[i] for i in keep], pa.binary()), pa.array([nodes[forest.find(int(i))] for i in keep], pa.binary()), pa.array(links[keep], pa.int64())], schema=schema)
+        return pa.RecordBatch.from_arrays([pa.array([nodes[i] for i in keep], pa.binary()), pa.array([nodes[i] for i in root[keep]], pa.binary()), pa.array(links[keep], pa.int64())], schema=schema)
 
     return by_group(handle)
 
@@ -330,7 +307,7 @@ def similar_documents(df: DataFrame, key: str = "doc_id", text: str = "text", op
         leaves = leaves.unionByName(met.filter(done).select(F.col("path").alias("group"), "node", "size"))
         large = met.filter(~done).select("path", "node", "size")
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    shown = _blocks(leaves.join(nodes.select("node", "emb"), "node"), "size", opts.bucket)
+    shown = _blocks(leaves.join(nodes.select("node", "emb"), "node"), "size", opts.block)
     loose = shown.select("key", "node", "emb").repartition(parts, "key").sortWithinPartitions("key").mapInArrow(_compare(opts), "a binary, b binary")
     groups = components(loose)
 
