@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from importlib import import_module
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -27,9 +28,18 @@ def query(name: str, sql: str | None = None) -> Callable[[Builder], Builder]:
     return add
 
 
+def _load() -> None:
+    """Import the modules that register queries."""
+    for name in ("stages", "papertables", "relational", "workloads"):
+        import_module(f"tokenfold.plans.{name}")
+    import_module("tokenfold.streaming.streams")
+
+
 def queries() -> dict[str, Builder]:
+    _load()
     return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
+    _load()
     return dict(_SQL)
