@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -14,6 +17,27 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new path in the folder that driver and executors share; a temporary one where the session names none."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}"
+    return f"{root}/{name}-{uuid.uuid4().hex}"
+
+
+def settle(df: DataFrame, name: str) -> DataFrame:
+    """A result written to the shared folder and read again, so that later steps see the same rows."""
+    path = scratch(df.sparkSession, name)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def spread(df: DataFrame, always: bool = False) -> DataFrame:
+    """Rows over all cores, where a scan has fewer partitions; always: without looking, for frames behind a shuffle."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    if always:
+        return df.repartition(max(cores, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    return df if df.rdd.getNumPartitions() >= cores else df.repartition(cores)
+
+
 def words(text: str, pattern: str = WORD):
     return F.regexp_extract_all(F.col(text), F.lit(pattern), F.lit(0))
 
@@ -40,7 +64,8 @@ def packed(df: DataFrame, order: str, length: int, continuation: int = 0, shard:
     cut = counted.filter(F.size("tokens") > 0).withColumn("_seq", F.explode(F.sequence(first, last)))
     low = F.greatest(F.col("_seq") * step - F.col("_before"), F.lit(0)).cast("int")
     high = F.least((F.col("_seq") + 1) * step - F.col("_before"), F.size("tokens")).cast("int")
-    parts = cut.groupBy("_shard", "_seq").agg(F.array_sort(F.collect_list(F.struct(F.col(order).alias("o"), F.slice("tokens", low + 1, high - low).alias("t")))).alias("p"))
+    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # by number: what follows is heavy, so small parts are not joined
+    parts = cut.repartition(n, "_shard", "_seq").groupBy("_shard", "_seq").agg(F.array_sort(F.collect_list(F.struct(F.col(order).alias("o"), F.slice("tokens", low + 1, high - low).alias("t")))).alias("p"))
     whole = parts.withColumn("tokens", F.flatten(F.transform("p", lambda p: p["t"]))).filter(F.size("tokens") == step)
     return whole.select((F.col("_shard") * 1_000_000 + F.col("_seq")).alias("seq_id"), F.slice("tokens", 1, length).alias("tokens"), F.slice("tokens", length + 1, max(continuation, 1)).alias("continuation") if continuation else F.array().cast("array<string>").alias("continuation"))
 
