@@ -95,7 +95,7 @@ both("agg_rollup", "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2)
 
 @query("agg_pivot", "SELECT source, count(*) FILTER (lang = 'en') AS en, count(*) FILTER (lang = 'fr') AS fr FROM documents GROUP BY source")
 def agg_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "documents").groupBy("source").pivot("lang", ["en", "fr"]).agg(F.count("*")).na.fill(0, ["en", "fr"])
+    return table(spark, sf_dir, "documents").groupBy("source").pivot("lang", ["en", "fr"]).agg(F.count(F.lit(1))).na.fill(0, ["en", "fr"])
 
 
 @query("unpivot_results", "SELECT doc_id, 'quality' AS label, quality AS value FROM labels UNION ALL SELECT doc_id, 'toxic', toxic FROM labels")

@@ -15,6 +15,7 @@ from tokenfold.functions import kernels, schedule
 from tokenfold.functions.reader import READERS
 from tokenfold.operators import backends, evaluation, onesequence
 from tokenfold.options import CompressOptions
+from tokenfold.plans import stages  # noqa: F401  its texts are the oracles of the functions below
 from tokenfold.plans.sqlviews import _TOK, prepared
 from tokenfold.registry import _SQL, query
 from tokenfold.sources import tables
@@ -435,10 +436,16 @@ def redundancy(x: pd.Series) -> float:
     return float(kernels.redundancy(np.stack(x.to_numpy()).astype(np.float64)))
 
 
+@F.pandas_udf(LongType())
+def members(x: pd.Series) -> int:
+    """Vectors of a group; Spark runs no built-in aggregate beside one in pandas."""
+    return len(x)
+
+
 @query("udaf_redundancy", _SQL["redundancy_score"])
 def udaf_redundancy(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = tables.table(spark, sf_dir, "embeddings").withColumn("w", F.floor(F.col("vec_id") / 16).cast("int"))
-    return e.groupBy("w").agg(F.round(redundancy("embedding"), 6).alias("score"), F.count("*").alias("len"))
+    return e.groupBy("w").agg(F.round(redundancy("embedding"), 6).alias("score"), members("embedding").alias("len"))
 
 
 @F.udtf(returnType=StructType().add("win_id", IntegerType()).add("first_pos", IntegerType()).add("n_tokens", IntegerType()))

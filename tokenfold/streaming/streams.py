@@ -21,8 +21,11 @@ from tokenfold.sources.tables import scratch, table, words
 
 
 def source(spark: SparkSession, sf_dir: str, name: str, **options) -> DataFrame:
-    """The files of a table as a stream; the schema comes from the footers."""
-    return spark.readStream.schema(table(spark, sf_dir, name).schema).options(**options).parquet(f"{sf_dir}/{name}.parquet")
+    """The files of a table, one file or a folder, as a stream; the schema comes from the footers.
+
+    The path is a pattern, since Spark takes a plain path of a stream for a folder.
+    """
+    return spark.readStream.schema(table(spark, sf_dir, name).schema).options(**options).parquet(f"{sf_dir}/{name}.parque[t]")
 
 
 def drained(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
@@ -110,7 +113,12 @@ WIDTH = 16
 FILLED = "conv_id long, win_id long, first_token string, n_tokens int"
 
 
-def fill_windows(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+def fill_in_order(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+    """fill_windows without a timeout, for streams that end."""
+    return fill_windows(key, batches, state, None)
+
+
+def fill_windows(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState, wait_ms: int | None = 3_600_000) -> Iterator[pd.DataFrame]:
     """Windows of WIDTH tokens of a conversation, as soon as they are full; the rest waits in the state.
 
     At the timeout the rest comes out as a short window. The state holds under WIDTH tokens.
@@ -129,7 +137,8 @@ def fill_windows(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState)
     for i in range(cut):
         out.append((key[0], done + i, waiting[i * WIDTH], WIDTH))
     state.update((done + cut, waiting[cut * WIDTH :]))
-    state.setTimeoutDuration(3_600_000)
+    if wait_ms:
+        state.setTimeoutDuration(wait_ms)
     yield pd.DataFrame(out, columns=["conv_id", "win_id", "first_token", "n_tokens"])
 
 
@@ -138,5 +147,5 @@ p AS (SELECT conv_id, token, row_number() OVER (PARTITION BY conv_id ORDER BY tu
 SELECT conv_id, pos // 16 AS win_id, arg_min(token, pos) AS first_token, CAST(count(*) AS INTEGER) AS n_tokens FROM p GROUP BY conv_id, pos // 16 HAVING count(*) = 16""")
 def stream_stateful_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = source(spark, sf_dir, "conversations").select("conv_id", "turn", words("text").alias("tokens"))
-    filled = turns.groupBy("conv_id").applyInPandasWithState(fill_windows, FILLED, "done long, waiting array<string>", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    filled = turns.groupBy("conv_id").applyInPandasWithState(fill_in_order, FILLED, "done long, waiting array<string>", "append", GroupStateTimeout.NoTimeout)
     return drained(filled, "stateful")
