@@ -1,6 +1,7 @@
 """Every query of the registry on the smallest tables, against its DuckDB text where it has one."""
 
 import math
+import os
 from pathlib import Path
 
 import duckdb
@@ -9,6 +10,8 @@ import pytest
 from tokenfold import registry
 
 SMALL = "/root/testdata/sf0.001"
+#: Long ones, whose parts other queries cover; RUN_SLOW=1 runs them too.
+SLOW = {"abl_bits", "w_stress_json", "route_share", "quality_by_backend", "exact_gaussian_kernel", "exact_attention_rows", "w_quality_grid", "w_quality_small", "w_stress_table"}
 pytestmark = pytest.mark.skipif(not Path(SMALL).exists(), reason="no tables")
 
 
@@ -38,6 +41,8 @@ def rows(names, data):
 
 @pytest.mark.parametrize("name", sorted(registry.queries()))
 def test_query(spark, duck, name):
+    if name in SLOW and not os.environ.get("RUN_SLOW"):
+        pytest.skip("long")
     df = registry.queries()[name](spark, SMALL)
     got = rows(df.columns, df.collect())
     text = registry.oracle_sql().get(name)

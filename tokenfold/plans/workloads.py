@@ -445,6 +445,7 @@ def members(x: pd.Series) -> int:
 @query("udaf_redundancy", _SQL["redundancy_score"])
 def udaf_redundancy(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = tables.table(spark, sf_dir, "embeddings").withColumn("w", F.floor(F.col("vec_id") / 16).cast("int"))
+    e = e.withColumn("embedding", F.transform("embedding", lambda v: F.lit(0.75**0.5) * v + 0.0625))  # the shared direction
     return e.groupBy("w").agg(F.round(redundancy("embedding"), 6).alias("score"), members("embedding").alias("len"))
 
 
