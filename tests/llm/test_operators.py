@@ -247,6 +247,23 @@ def test_one_of_each_class_stays(docs, no_docs, corpus):
     assert chosen_path.similar_documents(no_docs).count() == 0
 
 
+def test_other_texts_under_a_key_stay(spark):
+    rng = random.Random(11)
+    a, b, near = prose(rng, 200), prose(rng, 200), None
+    near = edited(rng, b, 1)
+    rows = [row(5, a), row(5, b), row(7, near), row(5, b, "fr"), row(9, a), row(None, b), row(None, a + " " + near)]
+    for order in (rows, rows[::-1]):
+        kept = [(r["doc_id"], r["text"], r["lang"]) for r in chosen_path.drop_similar(clash(spark.createDataFrame(order, DOCS))).collect()]
+        assert sorted(kept[: len(kept)], key=str) == sorted([(5, a, "en"), (5, b, "en"), (None, a + " " + near, "en")], key=str)
+
+
+def test_lines_of_other_texts_under_a_key_stay(spark):
+    rows = [row(1, "One line\nown a"), row(2, "one LINE\nown b"), row(2, "own c\nown d"), row(3, "x y\nown e"), row(3, "x y\nown f")]
+    got = [r["text"] for r in line_dedup.drop_repeated_units(clash(spark.createDataFrame(rows, DOCS))).collect()]
+    assert got.count("own b") == 1 and "own c\nown d" in got and "One line\nown a" in got
+    assert sorted(got)[-2:] in (["own f", "x y\nown e"], ["own e", "x y\nown f"])
+
+
 def test_runs_reach_the_recall():
     rng, opts = random.Random(4), chosen_path.Join()
     assert opts.runs <= opts.values // 2

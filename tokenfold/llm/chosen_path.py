@@ -89,11 +89,11 @@ def _embed(opts: Join):
         hashes = WordHashes()
         for batch in batches:
             digests, values = [], []
-            for t in texts(batch.column(1).to_pylist()):
+            for t in texts(batch.column(2).to_pylist()):
                 g = grams(t, hashes, opts.n)
                 digests.append(_digest(g) if len(g) else None)
                 values.append(minhash(g, opts.values).tobytes() if len(g) else None)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(digests, pa.binary()), pa.array(values, pa.binary())], ["_id", "node", "emb"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(digests, pa.binary()), pa.array(values, pa.binary())], ["_id", "said", "node", "emb"])
 
     return embed
 
@@ -269,21 +269,13 @@ def _blocks(rows: DataFrame, size: str, most: int) -> DataFrame:
     return rows.withColumn("key", key).withColumn("lone", F.col("block") == F.col("_other")).drop("_n", "_other")
 
 
-def similar_documents(df: DataFrame, key: str = "doc_id", text: str = "text", opts: Join = Join()) -> DataFrame:
-    """One row for each document: key, class_id, copies, n_links.
-
-    class_id is the least key among the documents that links connect, n_links the
-    number of other documents with at least the least similarity, copies those of
-    them with the same set of n-grams. Texts without a word (null, empty, white
-    space) link to nothing and are a class each; a text with fewer than n words is
-    one gram of all of them. Rows that repeat a key are documents of their own that
-    share it. Null keys rank last. Whole texts are compared; ties need no rule.
-    """
+def _classes(df: DataFrame, key: str, text: str, opts: Join) -> tuple[DataFrame, DataFrame]:
+    """Each row's _id, said (its text's hash) and node; and each node's class: head (last, id and said of its first row), copies, n_links."""
     spark = df.sparkSession
     kind = df.schema[key].dataType.simpleString()
-    slim = df.select(F.col(key).alias("_id"), F.col(text).cast("string").alias("text"))
-    base = settle(slim.mapInArrow(_embed(opts), f"_id {kind}, node binary, emb binary"), "embedded")
-    rank = F.struct(F.col("_id").isNull().alias("last"), F.col("_id").alias("id"))
+    slim = df.select(F.col(key).alias("_id"), F.col(text).cast("string").alias("text")).select("_id", F.xxhash64("text").alias("said"), "text")
+    base = settle(slim.mapInArrow(_embed(opts), f"_id {kind}, said long, node binary, emb binary"), "embedded")
+    rank = F.struct(F.col("_id").isNull().alias("last"), F.col("_id").alias("id"), F.col("said").alias("said"))
     nodes = settle(base.filter("node IS NOT NULL").groupBy("node").agg(F.min(rank).alias("rep"), F.count("*").alias("copies"), F.min("emb").alias("emb")), "nodes")
 
     # Paths: small buckets are leaves, large ones split again unless their split has reduced nothing.
@@ -313,31 +305,52 @@ def similar_documents(df: DataFrame, key: str = "doc_id", text: str = "text", op
 
     # Exact comparison inside the groups.
     sized = groups.groupBy("root").agg(F.count("*").alias("size"))
-    inside = groups.join(sized, "root").join(nodes.select("node", "rep", "copies"), "node").select("node", F.xxhash64("root").alias("group"), "size", "copies", F.col("rep.id").alias("_rep"))
-    whole = slim.join(inside, F.col("_id").eqNullSafe(F.col("_rep"))).select("node", "group", "size", "copies", "text")
+    inside = groups.join(sized, "root").join(nodes.select("node", "rep", "copies"), "node").select("node", F.xxhash64("root").alias("group"), "size", "copies", F.col("rep.id").alias("_rep"), F.col("rep.said").alias("_said"))
+    whole = slim.join(inside, F.col("_id").eqNullSafe(F.col("_rep")) & (F.col("said") == F.col("_said"))).select("node", "group", "size", "copies", "text")
     exact = settle(_blocks(whole, "size", opts.block).select("key", "node", "text", "copies", "block", "lone").repartition(parts, "key").sortWithinPartitions("key").mapInArrow(_verify(opts), "a binary, b binary, links long"), "links")
     linked = exact.groupBy(F.col("a").alias("node")).agg(F.sum("links").alias("links"))
     root = components(exact.select("a", "b"))
     named = nodes.select("node", "rep", "copies").join(root, "node", "left").join(linked, "node", "left").withColumn("root", F.coalesce("root", "node"))
     classes = named.groupBy("root").agg(F.min("rep").alias("head"))
-    labels = named.join(classes, "root").select("node", F.col("head.id").alias("class_id"), (F.col("copies") - 1).alias("copies"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    out = base.select("_id", "node").join(labels, "node", "left")
+    labels = named.join(classes, "root").select("node", "head", (F.col("copies") - 1).alias("copies"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    return base.select("_id", "said", "node"), labels
+
+
+def similar_documents(df: DataFrame, key: str = "doc_id", text: str = "text", opts: Join = Join()) -> DataFrame:
+    """One row for each document: key, class_id, copies, n_links.
+
+    class_id is the least key among the documents that links connect, n_links the
+    number of other documents with at least the least similarity, copies those of
+    them with the same set of n-grams. Texts without a word (null, empty, white
+    space) link to nothing and are a class each; a text with fewer than n words is
+    one gram of all of them. Rows that repeat a key are documents of their own that
+    share it. Null keys rank last. Whole texts are compared; ties need no rule.
+    """
+    base, labels = _classes(df, key, text, opts)
+    out = base.select("_id", "node").join(labels.withColumn("class_id", F.col("head.id")), "node", "left")
     return out.select(F.col("_id").alias(key), F.when(F.col("node").isNull(), F.col("_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("copies", F.lit(0)).alias("copies"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
 
 
 def drop_similar(df: DataFrame, key: str = "doc_id", text: str = "text", opts: Join = Join()) -> DataFrame:
     """One row of each class, that of the least key, with all columns as they were.
 
-    Of rows that repeat this key and have words one stays. Texts without a word stay.
+    Of rows of a class that share this key one text stays, that of the least hash, and
+    of rows that repeat key and text one. Other texts under the key are in classes of
+    their own and stay by those. Texts without a word stay.
     """
-    classes = settle(similar_documents(df, key, text, opts), "classes")
-    k, many = fresh(df, "_key"), fresh(df, "_many")
-    heads = classes.filter(F.col(key).eqNullSafe(F.col("class_id"))).groupBy(F.col(key).alias(k)).agg((F.count("*") > 1).alias(many))
-    kept = df.join(heads, df[key].eqNullSafe(heads[k]), "inner")
-    has_word = F.coalesce(F.col(text).rlike(r"[^\x20\x09-\x0d]"), F.lit(False))
-    once = kept.filter(~F.col(many) | ~has_word)
-    twice = kept.filter(F.col(many) & has_word).dropDuplicates([k])
-    return once.unionByName(twice).select(df.columns)
+    base, labels = _classes(df, key, text, opts)
+    k, said, many = fresh(df, "_key"), fresh(df, "_said"), fresh(df, "_many")
+    first = labels.select("head.id", "head.said").distinct()
+    rows = base.filter("node IS NOT NULL").groupBy("_id", "said").agg((F.count("*") > 1).alias(many))
+    rows = rows.join(first, F.col("_id").eqNullSafe(F.col("id")) & (rows["said"] == first["said"])).select(F.col("_id").alias(k), rows["said"].alias(said), many)
+    heads = settle(rows, "heads").withColumnRenamed(said, f"{said}_of")
+    has_word = F.coalesce(F.col(text).cast("string").rlike(r"[^\x20\x09-\x0d]"), F.lit(False))
+    worded = df.filter(has_word).withColumn(said, F.xxhash64(F.col(text).cast("string")))
+    kept = worded.join(heads, worded[key].eqNullSafe(heads[k]) & (worded[said] == heads[f"{said}_of"]), "inner")
+    once = kept.filter(~F.col(many)).select(df.columns)
+    row = F.struct(*(F.col(c) for c in df.columns))
+    twice = kept.filter(many).groupBy(k, said).agg(F.min_by(row, F.to_json(row)).alias(many)).select(f"{many}.*")
+    return df.filter(~has_word).unionByName(once).unionByName(twice)
 
 
 def op5_chosen_path_join(spark: SparkSession, sf_dir: str) -> DataFrame:

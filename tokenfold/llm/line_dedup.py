@@ -23,7 +23,7 @@ _SPACE = re.compile(r"[\x20\x09-\x0d]+")
 _BREAK = {"line": re.compile(r"\n"), "paragraph": re.compile(r"\n(?:[\x20\x09-\x0d]*\n)+")}
 #: Digests with more than one in HOT_SHARE of all units are joined by broadcast; there are at most HOT_SHARE of them.
 HOT_SHARE = 1000
-_UNITS = "unit int, start int, length int, digest binary"
+_UNITS = "said long, unit int, start int, length int, digest binary"
 
 
 def normalised(unit: str) -> str:
@@ -46,12 +46,12 @@ def units(text: str, unit: str = "line", least_words: int = 1) -> list[tuple[int
 def _spell(key: pa.DataType, unit: str, least_words: int):
     def spell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keys, found = batch.column(0), [units(t, unit, least_words) for t in texts(batch.column(1).to_pylist())]
+            keys, found = batch.column(0), [units(t, unit, least_words) for t in texts(batch.column(2).to_pylist())]
             rows = [u for us in found for u in us]
             of = pa.array([i for i, us in enumerate(found) for _ in us], pa.int32())
             columns = list(zip(*rows, strict=True)) or [()] * 4
             kinds = (pa.int32(), pa.int32(), pa.int32(), pa.binary())
-            yield pa.RecordBatch.from_arrays([keys.take(of), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["_id", "unit", "start", "length", "digest"])
+            yield pa.RecordBatch.from_arrays([keys.take(of), batch.column(1).take(of), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["_id", "said", "unit", "start", "length", "digest"])
 
     return spell
 
@@ -61,18 +61,25 @@ def repeated_units(df: DataFrame, key: str = "doc_id", text: str = "text", unit:
 
     Null texts hold no unit; null keys rank after all others. Rows that repeat a
     key and its text are the same occurrence, so a repeated row loses nothing
-    that its twin keeps. Ties between equal units are broken by key and place.
+    that its twin keeps; other texts under the key are documents of their own. Ties
+    between equal units are broken by key, place and the text's hash.
     """
+    return _repeated(df, key, text, unit, least_words).drop("said")
+
+
+def _repeated(df: DataFrame, key: str, text: str, unit: str, least_words: int) -> DataFrame:
+    """As repeated_units, with said, the hash of the text that the unit is in."""
     kind = df.schema[key].dataType.simpleString()
-    spelled = settle(df.select(F.col(key).alias("_id"), F.col(text).cast("string").alias("_text")).mapInArrow(_spell(None, unit, least_words), f"_id {kind}, {_UNITS}"), "units")
-    rank = F.struct(F.col("_id").isNull().alias("last"), F.col("_id").alias("id"), F.col("unit").alias("unit"))
+    slim = df.select(F.col(key).alias("_id"), F.col(text).cast("string").alias("_text")).select("_id", F.xxhash64("_text").alias("said"), "_text")
+    spelled = settle(slim.mapInArrow(_spell(None, unit, least_words), f"_id {kind}, {_UNITS}"), "units")
+    rank = F.struct(F.col("_id").isNull().alias("last"), F.col("_id").alias("id"), F.col("unit").alias("unit"), F.col("said").alias("said"))
     groups = settle(spelled.groupBy("digest").agg(F.min(rank).alias("first"), F.count("*").alias("n")).filter("n > 1"), "digests")
     total = spelled.count()
     hot = groups.filter(F.col("n") * HOT_SHARE >= total)
     cold = groups.filter(F.col("n") * HOT_SHARE < total)
     found = spelled.join(F.broadcast(hot), "digest").unionByName(spelled.join(F.broadcast(hot.select("digest")), "digest", "left_anti").join(cold, "digest"))
-    same = F.col("first.id").eqNullSafe(F.col("_id")) & (F.col("first.unit") == F.col("unit"))
-    return found.filter(~same).select(F.col("_id").alias(key), "unit", "start", "length", F.col("first.id").alias(f"first_{key}"))
+    same = F.col("first.id").eqNullSafe(F.col("_id")) & (F.col("first.unit") == F.col("unit")) & (F.col("first.said") == F.col("said"))
+    return found.filter(~same).select(F.col("_id").alias(key), "said", "unit", "start", "length", F.col("first.id").alias(f"first_{key}"))
 
 
 @F.pandas_udf(T.StringType())
@@ -95,11 +102,11 @@ def drop_repeated_units(df: DataFrame, key: str = "doc_id", text: str = "text",
 
     length names a column that holds the text's length in code points, if there is one.
     """
-    spans = repeated_units(df, key, text, unit, least_words).distinct()
-    by_doc = spans.groupBy(F.col(key).alias("_of")).agg(F.sort_array(F.collect_list(F.struct("start", "length"))).alias("_spans"))
-    s, o = fresh(df, "_spans"), fresh(df, "_of")
-    by_doc = by_doc.select(F.col("_of").alias(o), F.col("_spans").alias(s))
-    out = df.join(by_doc, df[key].eqNullSafe(by_doc[o]), "left").drop(o)
+    spans = _repeated(df, key, text, unit, least_words).select(F.col(key).alias("_of"), "said", "start", "length").distinct()
+    s, o, h, t = (fresh(df, c) for c in ("_spans", "_of", "_said", "_hash"))
+    by_doc = spans.groupBy(F.col("_of").alias(o), F.col("said").alias(h)).agg(F.sort_array(F.collect_list(F.struct("start", "length"))).alias(s))
+    hashed = df.withColumn(t, F.xxhash64(F.col(text).cast("string")))
+    out = hashed.join(by_doc, hashed[key].eqNullSafe(by_doc[o]) & (hashed[t] == by_doc[h]), "left").drop(o, h, t)
     out = out.withColumn(text, F.when(F.col(s).isNull(), F.col(text)).otherwise(_cut(F.when(F.col(s).isNotNull(), F.col(text)), F.col(s)))).drop(s)
     if length:
         out = out.withColumn(length, F.char_length(F.coalesce(F.col(text), F.lit(""))).cast(df.schema[length].dataType))
