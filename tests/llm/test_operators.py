@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer, models, pre_tokenizers
 
 import public_tokenizers
+import sentencepiece
 from tests.llm.conftest import DOCS, edited, prose, row
 from tokenfold.llm import cgk_decontamination, chosen_path, compression_bands, cotraining, licence_scan, line_dedup, packing, piece_counts, sharding, sparse_suffixes
 from tokenfold.llm.common import WORD
@@ -388,6 +389,15 @@ def test_piece_counts_equal_the_tokenizer(docs, corpus):
         assert counter(text)[1] == len(whole.encode(text, add_special_tokens=False).ids), text
 
 
+def test_op8_counts_are_the_shipped_models_own(spark, corpus, tmp_path):
+    sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
+    odd = ["<s> </s>", "x\n\ny <s> <0x0A>", " lead  trail ", "日本語 \U0001f600", "The unbelievable tokenisation of words"]
+    rows = [(i, r[1]) for i, r in enumerate(corpus)] + [(1000 + i, t) for i, t in enumerate(odd)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["doc_id"]: r["n_tokens"] for r in piece_counts.op8_viterbi_counts(spark, str(tmp_path)).collect()}
+    assert got == {i: len(sp.encode(t or "")) for i, t in rows}
+
+
 def test_ties_go_to_the_earlier_start():
     pieces = [("<unk>", 0.0), ("▁", -1.0), ("a", -1.0), ("b", -1.0), ("c", -2.0), ("ab", -2.0), ("bc", -3.0), ("abc", -4.0), ("▁a", -2.0)]
     ours, theirs = piece_counts.PieceCounter(pieces), Tokenizer(models.Unigram(pieces, 0, False))

@@ -1,4 +1,8 @@
-"""Token counts of a unigram tokenizer without its tokens.
+"""Token counts of the shipped piece tokenizer, and of unigram vocabularies without their tokens.
+
+The shipped piece model merges pairs by rank (BPE), so token_count asks it for its
+own segmentation of whole texts. PieceCounter is for vocabularies whose scores are
+log-probabilities; read with merge ranks, its counts belong to no tokenizer.
 
 An Aho-Corasick automaton names all vocabulary pieces that end at each character;
 dynamic programming carries the best score and the number of pieces on that path.
@@ -17,6 +21,7 @@ from collections.abc import Iterator
 from functools import lru_cache
 
 import ahocorasick
+import numpy as np
 import pandas as pd
 import public_tokenizers
 import sentencepiece
@@ -106,7 +111,7 @@ def _counter(path: str) -> PieceCounter:
 
 
 def piece_count(text: str | Column, path: str | None = None) -> Column:
-    """Struct of tokens and score of one text; null texts count as empty.
+    """Struct of tokens and score of one text under a unigram reading of the vocabulary; null texts count as empty.
 
     Whole texts are counted, whatever their length.
     """
@@ -122,6 +127,35 @@ def piece_count(text: str | Column, path: str | None = None) -> Column:
     return F.pandas_udf(count, "n_tokens long, score double").asNondeterministic()(text)
 
 
+@lru_cache(1)
+def _tokenizer(path: str) -> tuple[sentencepiece.SentencePieceProcessor, np.ndarray]:
+    sp = sentencepiece.SentencePieceProcessor(model_file=path)
+    return sp, np.array([sp.get_score(i) for i in range(sp.get_piece_size())])
+
+
+def token_count(text: str | Column, path: str | None = None) -> Column:
+    """Struct of the tokenizer's own number of tokens and the sum of their scores in the model file; null texts count as empty.
+
+    Whole texts are segmented by the model's method. In a BPE model scores are minus
+    merge ranks, and control and byte pieces score 0; control pieces are never matched.
+    """
+    path = path or public_tokenizers.path("piece_bpe_32k.model")
+
+    def count(column: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        sp, scores = _tokenizer(path)
+        for series in column:
+            n, total = [], []
+            for t in texts(series):
+                ids = sp.encode(t)
+                n.append(len(ids))
+                total.append(float(scores[ids].sum()) if ids else 0.0)
+            yield pd.DataFrame({"n_tokens": n, "score": total})
+
+    count.__annotations__ = {"column": Iterator[pd.Series], "return": Iterator[pd.DataFrame]}
+    return F.pandas_udf(count, "n_tokens long, score double").asNondeterministic()(text)
+
+
 def op8_viterbi_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The counts of piece_bpe_32k.model itself."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return docs.select("doc_id", piece_count("text").alias("c")).select("doc_id", "c.n_tokens", "c.score")
+    return docs.select("doc_id", token_count("text").alias("c")).select("doc_id", "c.n_tokens", "c.score")
