@@ -136,6 +136,22 @@ def test_recall_under_edits(share, recall):
         assert plain_distance(item, cgk_decontamination.folded(batch[d])[start:end]) == edits <= 0.2 * len(item)
 
 
+@pytest.mark.parametrize(("length", "recall"), [(30, 1.0), (60, 1.0), (90, 1.0), (150, 0.95), (260, 0.95)])
+def test_recall_with_all_edits_of_all_kinds(length, recall):
+    rng = random.Random(length)
+    items = [(i, prose(rng, 80).replace("\n", " ")[:length]) for i in range(60)]
+    batch, near = [], set()
+    for i, t in items:
+        chars = list(t)
+        for _ in range(int(0.2 * length)):
+            at, kind = rng.randrange(len(chars)), rng.randrange(3)
+            chars[at : at + (kind < 2)] = [rng.choice("aeioux")][: kind != 1]
+        batch.append(prose(rng, 50) + " " + "".join(chars) + " " + prose(rng, 50))
+        near.add((i, i))
+    found = {f[:2] for f in cgk_decontamination.Items(items, cgk_decontamination.Walks())(batch)}
+    assert len(found & near) >= recall * len(near)
+
+
 def test_contaminated_rows_go_and_clean_ones_stay(spark, docs, no_docs, corpus):
     rng = random.Random(9)
     items = spark.createDataFrame([(1, corpus[0][1][:150]), (2, None), (3, ""), (4, prose(rng, 40)), (5, "a short item of words")], "item_id long, text string")

@@ -11,17 +11,22 @@ Documents are walked from every STRIDE-th character. The window from there is as
 long as the rest of the item that it is compared with: an item is walked from each
 of its own characters, so a passage meets its item at every place of the stride
 that lies in it, each of which is another chance for each table. Walks write only
-the first STEPS places, which is where the tables sample. The pass over documents
-is narrow; only the items, a stated query set, are sent out, in blocks.
+the first STEPS places, which is where the tables sample: a walk over a whole item
+with a fifth of edits falls out of step, one over a short part of it often does not.
+
+How many walks an item needs for the target recall follows from its length and is
+measured on random strings with random edits. Items that the most walks do not serve,
+the short ones, are searched exactly: of the parts of an item one has no more than
+its share of the edits, and all parts are compared with every place of all texts,
+bit-parallel, many parts and places at once. The pass over documents is narrow; only the items, a stated query set, are sent out, in blocks.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import reduce
+from functools import lru_cache, reduce
 
-import ahocorasick
 import numpy as np
 import pandas as pd
 import pyarrow as pa
@@ -35,15 +40,19 @@ from .common import fresh, mix, table, texts
 class Walks:
     #: Edits that a passage may have, as a share of its item's characters.
     edits: float = 0.2
-    stride: int = 16
+    #: Chance that a passage with that share of random edits is a candidate; sets the walks of each item.
+    recall: float = 0.99
+    stride: int = 8
     steps: int = 48
-    walks: int = 3
+    #: Most walks of an item; items that need more are searched exactly.
+    walks: int = 6
     tables: int = 6
     #: Places that a table samples.
-    places: int = 20
-    #: Shorter items are only found unchanged; items below the second length are ignored.
-    short: int = 48
+    places: int = 16
+    #: Shorter items are ignored.
     least: int = 16
+    #: Passages of each length from which the recall is measured.
+    trials: int = 400
     seed: int = 0
     #: Items sent out at once.
     block: int = 5000
@@ -72,10 +81,10 @@ class Walker:
         self.samples = [[set(rng.choice(opts.steps, opts.places, replace=False).tolist()) for _ in range(opts.tables)] for _ in range(opts.walks)]
         self.odd = rng.integers(1, 2**62, (opts.walks, opts.tables), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
-    def keys(self, symbols: np.ndarray, at: np.ndarray) -> Iterator[np.ndarray]:
-        """Keys of one table after another. symbols must end in at least STEPS zeros."""
+    def keys(self, symbols: np.ndarray, at: np.ndarray, walks: int | None = None) -> Iterator[np.ndarray]:
+        """Keys of one table after another, of the first walks or of all. symbols must end in at least STEPS zeros."""
         o = self.opts
-        for w in range(o.walks):
+        for w in range(o.walks if walks is None else walks):
             head, keys = at.copy(), [np.zeros(len(at), np.uint64) for _ in range(o.tables)]
             for j in range(o.steps):
                 c = symbols[head]
@@ -114,19 +123,106 @@ class EditDistance:
         return best, end
 
 
+def _strings(rng: np.random.Generator, n: int, length: int, edits: int) -> tuple[np.ndarray, np.ndarray]:
+    """Random strings over 26 letters, and the same with substitutions, deletions and insertions at random places."""
+    plain = rng.integers(2, 28, (n, length)).astype(np.uint8)
+    other = []
+    for row in plain:
+        t = row.tolist()
+        for kind in rng.integers(0, 3, edits).tolist():
+            i, c = int(rng.integers(len(t))), int(rng.integers(2, 28))
+            t[i : i + (kind < 2)] = [c][: kind != 1]
+        other.append(np.array([*t, *[0] * (2 * length - len(t))], np.uint8))
+    return plain, np.array(other)
+
+
+@lru_cache(8)
+def walks_by_length(opts: Walks, step: int = 16) -> tuple[int, ...]:
+    """Walks that items of step, 2 step, ... characters need; walks + 1 where all are too few. The last holds for all longer ones."""
+    out, walker = [], Walker(opts)
+    for length in range(step, 64 * step, step):
+        if length <= opts.steps // 2:
+            out.append(opts.walks + 1)
+            continue
+        rng = np.random.Generator(np.random.PCG64(opts.seed + length))
+        plain, other = _strings(rng, opts.trials, length, int(opts.edits * length))
+        pad = opts.steps + 1
+        item_at = np.arange(max(1, length - opts.steps // 2))
+        symbols = np.pad(plain, ((0, 0), (0, pad)))
+        shift = rng.integers(0, opts.stride, opts.trials)
+        text_at = shift[:, None] + np.arange(0, length, opts.stride)[None, :]
+        texts_ = np.pad(other, ((0, 0), (0, pad)))
+        ours = walker.keys(symbols.reshape(-1), (np.arange(opts.trials)[:, None] * symbols.shape[1] + item_at[None, :]).reshape(-1))
+        theirs = walker.keys(texts_.reshape(-1), (np.arange(opts.trials)[:, None] * texts_.shape[1] + text_at).reshape(-1))
+        hit, need = np.zeros(opts.trials, bool), opts.walks + 1
+        for t, (a, b) in enumerate(zip(ours, theirs, strict=True), 1):
+            own = np.uint64(0x9E3779B97F4A7C15) * np.arange(opts.trials, dtype=np.uint64)[:, None]
+            hit |= np.isin(mix(b.reshape(opts.trials, -1) ^ own), mix(a.reshape(opts.trials, -1) ^ own)).any(axis=1)
+            if t % opts.tables == 0 and hit.mean() >= opts.recall:
+                need = t // opts.tables
+                break
+        out.append(need)
+        if need == 1:
+            break
+    return tuple(out)
+
+
+class Parts:
+    """Parts of items, compared with every place of many texts at once (Myers, a part to each 64-bit word)."""
+
+    def __init__(self, items: list[tuple[int, str]], edits: float, lane: int = 1024):
+        cut = [(i, t, n * len(t) // k, (n + 1) * len(t) // k) for i, t in items for k in [-(-len(t) // 64)] for n in range(k)]
+        self.of, self.end = np.array([c[0] for c in cut]), np.array([c[3] for c in cut])
+        size = np.array([c[3] - c[2] for c in cut])
+        slack = np.array([int(edits * len(c[1])) for c in cut])
+        self.most = (slack * size // np.array([len(c[1]) for c in cut])).astype(np.int16)[:, None]
+        self.size, self.top, self.lane = size.astype(np.int16)[:, None], (size - 1).astype(np.uint64)[:, None], lane
+        self.before = int((size + self.most[:, 0]).max())
+        self.masks = np.zeros((len(cut), 256), np.uint64)
+        for p, (_, t, low, high) in enumerate(cut):
+            for k, c in enumerate(_symbols(t)[low:high].tolist()):
+                self.masks[p, c] |= np.uint64(1 << k)
+
+    def __call__(self, symbols: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """Items, their estimated starts and the places where a part ends with no more than its share of edits."""
+        n = -(-len(symbols) // self.lane)
+        padded = np.zeros(self.before + n * self.lane, np.uint8)
+        padded[self.before : self.before + len(symbols)] = symbols
+        lanes = np.lib.stride_tricks.sliding_window_view(padded, self.before + self.lane)[:: self.lane].T
+        step = max(1, (1 << 13) // n)
+        for low in range(0, len(self.of), step):
+            p = slice(low, low + step)
+            masks, top, most, one = self.masks[p], self.top[p], self.most[p], np.uint64(1)
+            rise, fall = np.full((len(masks), n), ~np.uint64(0)), np.zeros((len(masks), n), np.uint64)
+            score = np.repeat(self.size[p], n, axis=1)
+            for j, c in enumerate(lanes):
+                same = masks[:, c]
+                x = ((same & rise) + rise ^ rise) | same | fall
+                up, down = fall | ~(x | rise), rise & x
+                score += (up >> top & one).astype(np.int16)
+                score -= (down >> top & one).astype(np.int16)
+                up <<= one
+                down <<= one
+                rise, fall = down | ~(x | up), up & x
+                if j >= self.before and (near := score <= most).any():
+                    part, lane = np.nonzero(near)
+                    place = lane * self.lane + (j - self.before)
+                    yield self.of[low + part], place + 1 - self.end[low + part], place
+
+
 class Items:
-    """A block of items with the tables of their walks."""
+    """A block of items with the tables of their walks, and the parts of those that are searched exactly."""
 
-    def __init__(self, items: list[tuple[object, str]], opts: Walks):
+    def __init__(self, items: list[tuple[object, str]], opts: Walks, needs: tuple[int, ...] | None = None):
         self.opts, self.walker = opts, Walker(opts)
         self.items = [(key, folded(t)) for key, t in items if t and len(t) >= opts.least]
         self.reverse: dict[int, tuple[EditDistance, EditDistance]] = {}
-        self.whole = ahocorasick.Automaton()
-        by_text: dict[str, list[int]] = {}
-        symbols, at, of, offset, total = [], [], [], [], 0
+        needs = needs or walks_by_length(opts)
+        exact, symbols, at, of, offset, need, total = [], [], [], [], [], [], 0
         for i, (_, t) in enumerate(self.items):
-            if len(t) < opts.short:
-                by_text.setdefault(t, []).append(i)
+            walks = needs[min(len(t) // 16, len(needs)) - 1]
+            if walks > opts.walks:
+                exact.append((i, t))
                 continue
             # the last starts leave the walk about as many characters as it reads
             starts = np.arange(max(1, len(t) - opts.steps // 2))
@@ -134,19 +230,18 @@ class Items:
             at.append(total + starts)
             of.append(np.full(len(starts), i))
             offset.append(starts)
+            need.append(np.full(len(starts), walks))
             total += len(t) + opts.steps + 1
-        for t, own in by_text.items():
-            self.whole.add_word(t, (len(t), own))
-        if by_text:
-            self.whole.make_automaton()
-        self.has_short = bool(by_text)
-        self.tables = []
+        self.parts = Parts(exact, opts.edits) if exact else None
+        self.tables, self.walks = [], 0
         if at:
-            of_all, offset_all = np.concatenate(of), np.concatenate(offset)
-            for keys in self.walker.keys(np.concatenate(symbols), np.concatenate(at)):
-                order = np.argsort(keys, kind="stable")
+            of_all, offset_all, need_all = np.concatenate(of), np.concatenate(offset), np.concatenate(need)
+            self.walks = int(need_all.max())
+            for t, keys in enumerate(self.walker.keys(np.concatenate(symbols), np.concatenate(at), self.walks)):
+                own = np.flatnonzero(need_all > t // opts.tables)
+                order = own[np.argsort(keys[own], kind="stable")]
                 seen = np.zeros(1 << 22, bool)
-                seen[keys & np.uint64((1 << 22) - 1)] = True
+                seen[keys[own] & np.uint64((1 << 22) - 1)] = True
                 self.tables.append((seen, keys[order], of_all[order], offset_all[order]))
 
     def check(self, i: int, text: str, about: int) -> tuple[int, int, int] | None:
@@ -155,8 +250,9 @@ class Items:
         if i not in self.reverse:
             self.reverse[i] = EditDistance(item), EditDistance(item[::-1])
         slack = int(self.opts.edits * len(item))
-        low = max(0, about - 2 * slack)
-        part = text[low : about + len(item) + 2 * slack]
+        wide = 2 * slack + self.opts.stride
+        low = max(0, about - wide)
+        part = text[low : max(0, about + len(item) + wide)]
         edits, end = self.reverse[i][0].nearest(part)
         if edits > slack:
             return None
@@ -172,7 +268,7 @@ class Items:
         out: set[tuple[int, int, int]] = set()
         for low in range(0, len(at), 1 << 15):
             part = at[low : low + (1 << 15)]
-            for (seen, keys, of, offset), own in zip(self.tables, self.walker.keys(symbols, part), strict=True):
+            for (seen, keys, of, offset), own in zip(self.tables, self.walker.keys(symbols, part, self.walks), strict=True):
                 hit = np.flatnonzero(seen[own & np.uint64((1 << 22) - 1)])
                 left = np.searchsorted(keys, own[hit], "left")
                 n = np.searchsorted(keys, own[hit], "right") - left
@@ -183,13 +279,16 @@ class Items:
                     doc = np.searchsorted(first, place, "right") - 1
                     about = place - first[doc] - offset[j]
                     out.update(zip(doc.tolist(), of[j].tolist(), (about // (o.stride // 2)).tolist(), strict=True))
+        for i, start, place in self.parts(symbols) if self.parts else ():
+            doc = np.minimum(np.searchsorted(first, place, "right") - 1, len(batch) - 1)
+            out.update(zip(doc.tolist(), i.tolist(), ((start - first[doc]) // (o.stride // 2)).tolist(), strict=True))
         return out
 
     def __call__(self, batch: list[str]) -> list[tuple[int, int, int, int, int]]:
         """Text, item, edits, start and end of the best place of each item in each text."""
         batch = [folded(t) for t in batch]
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
-        if self.tables and any(batch):
+        if self.items and any(batch):
             checked: dict[tuple[int, int], list[int]] = {}
             step = self.opts.stride // 2
             for d, i, about in sorted(self.candidates(batch)):
@@ -199,17 +298,14 @@ class Items:
                 near.append(about * step)
                 if (got := self.check(i, batch[d], about * step)) is not None and got < best.get((d, i), (1 << 30,)):
                     best[d, i] = got
-        if self.has_short:
-            for d, t in enumerate(batch):
-                for end, (n, own) in self.whole.iter(t):
-                    for i in own:
-                        best[d, i] = min(best.get((d, i), (1 << 30,)), (0, end + 1 - n, end + 1))
         return [(d, i, *got) for (d, i), got in sorted(best.items())]
 
 
 def _search(items: list[tuple[object, str]], opts: Walks, item_type: pa.DataType, names: list[str]):
+    needs = walks_by_length(opts)
+
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        block = Items(items, opts)
+        block = Items(items, opts, needs)
         for batch in batches:
             for low in range(0, batch.num_rows, 128):
                 part = batch.slice(low, 128)
@@ -236,8 +332,10 @@ def _item_blocks(items: DataFrame, item_key: str, item_text: str, size: int) ->
 
 
 def _holds(rows: list[tuple[object, str]], opts: Walks):
+    needs = walks_by_length(opts)
+
     def holds(column: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        block = Items(rows, opts)
+        block = Items(rows, opts, needs)
         for series in column:
             out = np.zeros(len(series), bool)
             for low in range(0, len(series), 128):
