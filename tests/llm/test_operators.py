@@ -449,6 +449,26 @@ def test_licences_as_by_brute_force(spark, docs, no_docs):
 # -- sharding -----------------------------------------------------------------------------------------------------
 
 
+@pytest.mark.parametrize("name", list(licence_scan.TEMPLATES))
+def test_licences_over_several_lines_and_paragraphs(name):
+    rng, scanner = random.Random(4), licence_scan.Scanner()
+    ws = licence_scan.TEMPLATES[name].split()
+    third = max(1, len(ws) // 3)
+    for parts in ([" ".join(ws[:third]), " ".join(ws[third : 2 * third]), " ".join(ws[2 * third :])], [" ".join(ws[i : i + 9]) for i in range(0, len(ws), 9)]):
+        for gap in ("\n", "\n\n"):
+            body = gap.join(parts)
+            text = prose(rng, 400) + "\n\n" + body + "\n\n" + prose(rng, 400)
+            found = [m for m in scanner(text) if m["licence"] == name]
+            assert any(m["dice"] > 0.99 and text[m["start"] : m["start"] + m["length"]] == body for m in found), (name, gap)
+
+
+def test_a_notice_after_a_copyright_statement():
+    scanner = licence_scan.Scanner()
+    for text in ("Copyright 2024 X. Licensed under the MIT License.", "(c) 2020 Some One Inc. All rights reserved. Licensed under the MIT License."):
+        assert [m["licence"] for m in scanner(text)] == ["MIT notice, licensed"], text
+
+
+
 def test_shards_are_contiguous_and_balanced(docs, no_docs, corpus):
     out = sharding.byte_shards(clash(docs), 5, extra={"crc": F.crc32(F.coalesce("text", F.lit("")).cast("binary"))}).collect()
     assert collections.Counter((r["doc_id"], r["size"], r["crc"]) for r in out) == collections.Counter((r[0], len((r[1] or "").encode()) + 8, zlib.crc32((r[1] or "").encode())) for r in corpus)

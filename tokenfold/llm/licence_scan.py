@@ -1,6 +1,10 @@
 """Licence texts and notices, found by the Dice coefficient over word bigrams.
 
 A text is normalised and cut into its lines, its paragraphs and itself as a whole.
+Runs of consecutive lines, and so of paragraphs, are compared as well, for those
+templates of which the text holds enough bigrams at all: a score of t takes
+t / (2 - t) of a template's bigrams. A run is reported unless it overlaps a unit or
+another run with a higher score, or with the same and no shorter.
 Each of these is compared with the templates whose size allows the least score:
 with a and b bigrams the coefficient is at most 2 min(a, b) / (a + b), so only
 templates within a factor of (2 - t) / t of the unit's size are looked at, and
@@ -12,6 +16,7 @@ from __future__ import annotations
 import bisect
 import re
 from collections.abc import Iterator
+from itertools import islice
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -56,6 +61,16 @@ not required. 2. Altered source versions must be plainly marked as such, and mus
 software. 3. This notice may not be removed or altered from any source distribution.""",
     "Unlicense": """This is free and unencumbered software released into the public domain. Anyone is free to copy, modify,
 publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose,
+commercial or non-commercial, and by any means. In jurisdictions that recognize copyright laws, the author or
+authors of this software dedicate any and all copyright interest in the software to the public domain. We make this dedication
+for the benefit of the public at large and to the detriment of our heirs and successors. We intend this dedication to be an
+overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law. THE SOFTWARE
+IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF
+MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS BE LIABLE FOR ANY CLAIM,
+DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE
+SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE. For more information, please refer to <https://unlicense.org>""",
+    "Unlicense opening": """This is free and unencumbered software released into the public domain. Anyone is free to copy, modify,
+publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose,
 commercial or non-commercial, and by any means.""",
     "BSL-1.0": """Permission is hereby granted, free of charge, to any person or organization obtaining a copy of the software
 and accompanying documentation covered by this license (the "Software") to use, reproduce, display, distribute, execute, and
@@ -63,6 +78,17 @@ transmit the Software, and to prepare derivative works of the Software, and to p
 furnished to do so, all subject to the following: The copyright notices in the Software and this entire statement, including
 the above license grant, this restriction and the following disclaimer, must be included in all copies of the Software, in
 whole or in part, and all derivative works of the Software, unless such copies or derivative works are solely in the form of
+machine-executable object code generated by a source language processor. THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY
+KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE,
+TITLE AND NON-INFRINGEMENT. IN NO EVENT SHALL THE COPYRIGHT HOLDERS OR ANYONE DISTRIBUTING THE SOFTWARE BE LIABLE FOR ANY
+DAMAGES OR OTHER LIABILITY, WHETHER IN CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR
+THE USE OR OTHER DEALINGS IN THE SOFTWARE.""",
+    "BSL-1.0 grant": """Permission is hereby granted, free of charge, to any person or organization obtaining a copy of the software
+and accompanying documentation covered by this license (the "Software") to use, reproduce, display, distribute, execute, and
+transmit the Software, and to prepare derivative works of the Software, and to permit third-parties to whom the Software is
+furnished to do so, all subject to the following: The copyright notices in the Software and this entire statement, including
+the above license grant, this restriction and the following disclaimer, must be included in all copies of the Software, in
+whole or in part, and all derivative works of the Software, unless such copies or derivative works are solely in the form of
 machine-executable object code generated by a source language processor.""",
     "Apache-2.0 header": """Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except
 in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless
@@ -91,13 +117,14 @@ MPL was not distributed with this file, You can obtain one at https://mozilla.or
 }
 
 LEAST_DICE = 0.8
-_COPYRIGHT = re.compile(r"^[ \t]*(?:copyright|\(c\)|©)[^\n]*$", re.I | re.M)
+#: A copyright statement at the start of a line, up to the end of its sentence; what follows stays.
+_COPYRIGHT = re.compile(r"^[ \t]*(?:copyright\b(?=[^\n]*(?:\d{4}|\(c\)|©|\bby\b))|\(c\)|©)[^\n]*?(?:(?<!\binc)(?<!\bltd)(?<!\bcorp)(?<!\bco)\.(?=\s|$)(?:[ \t]*all rights reserved\b\.?)?|$)", re.I | re.M)
 _TOKEN = re.compile(r"[^\W_]+(?:\.\d+)*")
 _PARAGRAPH = re.compile(r"\n[\x20\x09-\x0d]*\n")
 
 
 def words(text: str) -> list[str]:
-    """Lower-case words and numbers, without lines that only state a copyright."""
+    """Lower-case words and numbers, without the copyright statements that lines start with."""
     return _TOKEN.findall(_COPYRIGHT.sub(" ", text).lower() if "opyr" in text.lower() or "©" in text or "(c)" in text.lower() else text.lower())
 
 
@@ -112,6 +139,11 @@ class Scanner:
         self.sizes = [t[0] for t in self.templates]
         self.wide = (2 - least) / least
         self.low, self.high = self.sizes[0] / self.wide, self.sizes[-1] * self.wide
+        self.holders: dict[tuple[str, str], list[int]] = {}
+        for i, (_, _, b) in enumerate(self.templates):
+            for pair in b:
+                self.holders.setdefault(pair, []).append(i)
+        self.known = frozenset(self.holders)
         self.vocabulary = frozenset(w for _, _, b in self.templates for pair in b for w in pair)
 
     def match(self, ws: list[str]) -> tuple[float, str] | None:
@@ -145,6 +177,37 @@ class Scanner:
             yield "line", at, len(line)
             at += len(line) + 1
 
+    def runs(self, text: str) -> Iterator[tuple[float, int, int, str]]:
+        """Score, start, length and template of runs of two or more lines."""
+        lines, at = [], 0
+        for line in text.split("\n"):
+            if ws := words(line):
+                lines.append((at, at + len(line), ws))
+            at += len(line) + 1
+        flat = [w for _, _, ws in lines for w in ws]
+        held = [0] * len(self.templates)
+        for pair in self.known.intersection(zip(flat, flat[1:], strict=False)):
+            for i in self.holders[pair]:
+                held[i] += 1
+        for (size, name, theirs), n in zip(self.templates, held, strict=True):
+            if n * self.wide < size:
+                continue
+            useful = [any(p in theirs for p in zip(ws, [*ws[1:], *(lines[i + 1][2][:1] if i + 1 < len(lines) else [])], strict=False)) for i, (_, _, ws) in enumerate(lines)]
+            for first, (start, _, ws) in enumerate(lines):
+                if not useful[first]:  # a run without this line scores higher
+                    continue
+                own, last = set(zip(ws, ws[1:], strict=False)), ws[-1]
+                common = len(own & theirs)
+                for _, end, more in islice(lines, first + 1, None) if len(own) <= size * self.wide else ():
+                    new = {(last, more[0]), *zip(more, more[1:], strict=False)} - own
+                    own |= new
+                    common += len(new & theirs)
+                    last = more[-1]
+                    if len(own) > size * self.wide:
+                        break
+                    if new and (score := 2 * common / (len(own) + size)) >= self.least:
+                        yield score, start, end - start, name
+
     def __call__(self, text: str) -> list[dict]:
         out, seen = [], set()
         for kind, start, length in self.units(text):
@@ -153,6 +216,10 @@ class Scanner:
             seen.add((start, length))
             if (found := self.match(words(text[start : start + length]))) is not None:
                 out.append({"kind": kind, "start": start, "length": length, "licence": found[1], "dice": found[0]})
+        if "\n" in text:
+            for score, start, length, name in sorted(self.runs(text), key=lambda r: (-r[0], -r[2], r[1], r[3])):
+                if all((m["dice"], m["length"]) < (score, length) or m["start"] + m["length"] <= start or start + length <= m["start"] for m in out):
+                    out.append({"kind": "run", "start": start, "length": length, "licence": name, "dice": score})
         return out
 
 
