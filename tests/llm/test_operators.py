@@ -340,6 +340,19 @@ def test_co_training_on_held_out_rows(spark):
     assert len(none) == 1
 
 
+def test_all_unlabelled_documents_take_part(spark):
+    """One document of which the text view is sure, behind more others than any fixed pool held."""
+    rng = random.Random(8)
+    good, bad = "fine words of calm prose", "vile shouting rubbish noise"
+    rows = [(i, f"{good if i % 2 else bad} {prose(rng, 3)}", "en", "s", 40) for i in range(400)]
+    rows += [(1000 + i, "", "en", "s", 0) for i in range(5000)]
+    labels = spark.createDataFrame([(i, i % 2) for i in range(200)], "doc_id long, quality int")
+    frame = spark.createDataFrame(rows, DOCS)
+    opts = cotraining.CoTraining(rounds=1, gives=300)
+    pair = cotraining.fit_views(frame, labels, ["quality"], opts=opts)["quality"]
+    assert pair.given[0] >= 190
+
+
 def test_views_give_each_other_examples():
     rng = np.random.default_rng(0)
     y = (np.arange(400) % 2).astype(float)

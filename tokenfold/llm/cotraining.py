@@ -3,15 +3,17 @@
 Both views start from the labelled rows. In each round each view gives the other the
 unlabelled documents of which it is surest, as further examples. Afterwards each
 view is calibrated on labelled rows that neither has seen, and the calibrated log
-odds are combined. Fitting reads at most `labelled` and `pool` rows, the documents
-with the least hashes of their ids; scoring reads every document whole.
+odds are combined. Fitting reads at most `labelled` labelled rows, those with the
+least hashes of their ids; each round scores all unlabelled documents where they lie
+and takes the surest of each class among them.
 """
 
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Generator, Iterator
 from dataclasses import dataclass, field
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -19,13 +21,14 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import MEMO_WORDS, WORD, table, texts
+from .common import MEMO_WORDS, WORD, settle, table, texts
 
 
 @dataclass(frozen=True)
 class CoTraining:
-    #: Bounds of what fitting gathers: labelled documents and unlabelled ones.
+    #: Labelled documents that fitting gathers.
     labelled: int = 6000
+    #: Bounds nothing: all unlabelled documents take part. Callers may still name it.
     pool: int = 4000
     rounds: int = 3
     #: Examples that a view gives in a round, of each class, and how sure it must be.
@@ -179,60 +182,148 @@ class Pair:
         return _sigmoid(t * self.combined[0] + m * self.combined[1] + self.combined[2]), _sigmoid(t), _sigmoid(m)
 
 
-def co_train(text: list[np.ndarray], meta: list[np.ndarray], y: np.ndarray, pool_text: list[np.ndarray], pool_meta: list[np.ndarray], opts: CoTraining) -> Pair:
-    """Fit both views on rows whose order is random already; the last ones are held out for calibration."""
+def _training(text: list[np.ndarray], meta: list[np.ndarray], y: np.ndarray, opts: CoTraining) -> Generator:
+    """Fit both views on rows whose order is random already; the last ones are held out for calibration.
+
+    Yields models, calibrations and how sure a view must be of each label; is sent, for
+    each view, the features (of the other view) and labels that it gives, or None to stop.
+    """
     dims, cut = 1 << opts.bits, max(1, int(len(y) * (1 - opts.held_out)))
-    own, pool, held = [text[:cut], meta[:cut]], [pool_text, pool_meta], [text[cut:], meta[cut:]]
-    extra: list[dict[int, float]] = [{}, {}]  # pseudo-labels that each view has got from the other
+    own, held = [text[:cut], meta[:cut]], [text[cut:], meta[cut:]]
+    extra: list[tuple[list, list]] = [([], []), ([], [])]  # pseudo-labels that each view has got from the other
     given = [0, 0]
     for step in range(opts.rounds + 1):
-        models = []
-        for v in (0, 1):
-            rows = own[v] + [pool[v][i] for i in extra[v]]
-            models.append(fit(rows, np.concatenate([y[:cut], list(extra[v].values())]), dims, opts))
+        models = [fit(own[v] + extra[v][0], np.concatenate([y[:cut], extra[v][1]]), dims, opts) for v in (0, 1)]
         calibrations = [scale_odds(models[v].odds(held[v])[:, None], y[cut:]) if len(held[v]) else np.array([1.0, 0.0]) for v in (0, 1)]
-        if step == opts.rounds or not pool[0]:
+        if step == opts.rounds or not len(y):
             break
-        for v in (0, 1) if len(y) else ():
-            p = _sigmoid(models[v].odds(pool[v]) * calibrations[v][0] + calibrations[v][1])
-            for label in (0.0, 1.0):
-                sure, base = (p, y[:cut].mean()) if label else (1 - p, 1 - y[:cut].mean())
-                least = max(opts.sure, 1 - opts.gain * (1 - base))  # a common class is no news
-                new = [i for i in np.argsort(-sure, kind="stable").tolist() if sure[i] >= least and i not in extra[1 - v]][: opts.gives]
-                extra[1 - v].update((i, label) for i in new)
-                given[v] += len(new)
+        base = y[:cut].mean()
+        new = yield models, calibrations, {label: max(opts.sure, 1 - opts.gain * (1 - b)) for label, b in ((0.0, 1 - base), (1.0, base))}  # a common class is no news
+        if new is None:
+            break
+        for v in (0, 1):
+            extra[1 - v][0].extend(new[v][0])
+            extra[1 - v][1].extend(new[v][1])
+            given[v] += len(new[v][0])
     both = np.column_stack([models[v].odds(held[v]) * calibrations[v][0] + calibrations[v][1] for v in (0, 1)]) if held[0] else np.zeros((0, 2))
     return Pair(models, calibrations, scale_odds(both, y[cut:]) if len(both) else np.array([0.5, 0.5, 0.0]), given)
 
 
-def _features(opts: CoTraining, rows: pd.DataFrame) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    text, meta = TextView(opts.bits), MetaView(opts.bits)
-    ts = texts(rows["text"])
-    return [text(t) for t in ts], [meta(t, *r) for t, r in zip(ts, rows[["lang", "source", "n_chars"]].itertuples(index=False), strict=True)]
+def _next(training: Generator, new: object = None) -> tuple[object, Pair | None]:
+    """The next state of a training, or its result."""
+    try:
+        return training.send(new), None
+    except StopIteration as end:
+        return None, end.value
+
+
+def co_train(text: list[np.ndarray], meta: list[np.ndarray], y: np.ndarray, pool_text: list[np.ndarray], pool_meta: list[np.ndarray], opts: CoTraining) -> Pair:
+    """Co-training with unlabelled rows in memory."""
+    pool, training, taken = [pool_text, pool_meta], _training(text, meta, y, opts), (set(), set())
+    state, pair = _next(training)
+    while pair is None:
+        models, calibrations, least = state
+        new = ([], []), ([], [])
+        for v in (0, 1) if pool[0] else ():
+            p = _sigmoid(models[v].odds(pool[v]) * calibrations[v][0] + calibrations[v][1])
+            for label in (0.0, 1.0):
+                sure = p if label else 1 - p
+                got = [i for i in np.argsort(-sure, kind="stable").tolist() if sure[i] >= least[label] and i not in taken[v]][: opts.gives]
+                taken[v].update(got)
+                new[v][0].extend(pool[1 - v][i] for i in got)
+                new[v][1].extend([label] * len(got))
+        state, pair = _next(training, new if pool[0] else None)
+    return pair
 
 
-def _some(df: DataFrame, key: str, n: int) -> DataFrame:
-    """The n ids of least hash, as a table small enough to send out."""
-    return df.select(key).distinct().orderBy(F.xxhash64(key), key).limit(n)
+def _featured(docs: DataFrame, key: str, opts: CoTraining) -> DataFrame:
+    """_id, its hash, and the features of both views as 32-bit integers, written once for all passes."""
 
+    def features(columns: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.DataFrame]:
+        text, meta = TextView(opts.bits), MetaView(opts.bits)
+        for ts, langs, sources, sizes in columns:
+            ts = texts(ts)
+            yield pd.DataFrame({
+                "t": [text(t).astype("<i4").tobytes() for t in ts],
+                "m": [meta(*r).astype("<i4").tobytes() for r in zip(ts, langs, sources, sizes, strict=True)],
+            })
+
+    features.__annotations__ = {"columns": Iterator[tuple[pd.Series, ...]], "return": Iterator[pd.DataFrame]}
+    made = docs.select(F.col(key).alias("_id"), F.xxhash64(key).alias("_hash"), F.pandas_udf(features, "t binary, m binary").asNondeterministic()("text", "lang", "source", "n_chars").alias("_f"))
+    return settle(made.select("_id", "_hash", "_f.t", "_f.m"), "features")
+
+
+def _rows(column: pd.Series) -> list[np.ndarray]:
+    return [np.frombuffer(x, "<i4").astype(np.int64) for x in column]
+
+
+def _surest(other: DataFrame, states: dict[str, tuple], taken: dict[tuple[str, int], set], opts: CoTraining) -> DataFrame:
+    """target, view, label, _id: of all unlabelled documents those of which each view is surest, at most `gives` of each label."""
+    sent = other.sparkSession.sparkContext.broadcast((states, taken))
+
+    def best(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        states, taken = sent.value
+        for frame in frames:
+            rows = _rows(frame["t"]), _rows(frame["m"])
+            for target, (models, calibrations, least) in states.items():
+                for v in (0, 1):
+                    p = _sigmoid(models[v].odds(rows[v]) * calibrations[v][0] + calibrations[v][1])
+                    for label in (0.0, 1.0):
+                        sure = p if label else 1 - p
+                        out = frame[["_id", "_hash"]].assign(target=target, view=v, label=label, sure=sure)[sure >= least[label]]
+                        out = out[~out["_id"].isin(taken[target, v])].sort_values(["sure", "_hash", "_id"], ascending=[False, True, True])
+                        yield out.drop_duplicates("_id")[: opts.gives]
+
+    kind = other.schema["_id"].dataType.simpleString()
+    found = other.mapInPandas(best, f"_id {kind}, _hash long, target string, view int, label double, sure double")
+    found = settle(found.groupBy("target", "view", "label", "_id", "_hash").agg(F.max("sure").alias("sure")), "surest")
+    parts = [
+        found.filter((F.col("target") == t) & (F.col("view") == v) & (F.col("label") == label)).orderBy(F.desc("sure"), "_hash", "_id").limit(opts.gives)
+        for t in states for v in (0, 1) for label in (0.0, 1.0)
+    ]
+    return reduce(DataFrame.unionByName, parts).select("target", "view", "label", "_id", "sure")
+
+
+def fit_views(docs: DataFrame, labels: DataFrame, targets: list[str], key: str = "doc_id", opts: CoTraining = CoTraining(), featured: DataFrame | None = None) -> dict[str, Pair]:
+    """One pair of views for each label column. Null labels are left out; several of one document are averaged.
+
+    In each round all unlabelled documents are scored where they lie.
+    """
+    said = labels.groupBy(key).agg(*(F.avg(t).alias(t) for t in targets)).filter(F.col(key).isNotNull()).withColumnRenamed(key, "_id")
+    featured = (featured if featured is not None else _featured(docs, key, opts)).filter("_id IS NOT NULL")
+    chosen = said.orderBy(F.xxhash64("_id"), "_id").limit(opts.labelled)
+    known = featured.join(F.broadcast(chosen), "_id").toPandas().sort_values(["t", "m"]).drop_duplicates("_id")
+    known = known.sort_values("_id", key=lambda c: c.map(lambda x: xxhash.xxh3_64_intdigest(str(x))))  # one order whatever the order of arrival
+    text, meta = _rows(known["t"]), _rows(known["m"])
+    other = settle(featured.join(said.select("_id"), "_id", "left_anti"), "unlabelled")
+    trainings, states, out, taken = {}, {}, {}, {(t, v): set() for t in targets for v in (0, 1)}
+
+    def move(t: str, new: object = None) -> None:
+        state, pair = _next(trainings[t], new)
+        if pair is None:
+            states[t] = state
+        else:
+            states.pop(t, None)
+            out[t] = pair
 
-def fit_views(docs: DataFrame, labels: DataFrame, targets: list[str], key: str = "doc_id", opts: CoTraining = CoTraining()) -> dict[str, Pair]:
-    """One pair of views for each label column. Null labels are left out; several of one document are averaged."""
-    said = labels.groupBy(key).agg(*(F.avg(t).alias(t) for t in targets)).filter(F.col(key).isNotNull())
-    docs = docs.filter(F.col(key).isNotNull()).select(key, "text", "lang", "source", "n_chars")
-    chosen = said.orderBy(F.xxhash64(key), key).limit(opts.labelled)
-    known = docs.join(F.broadcast(chosen), key).toPandas().drop_duplicates(key)
-    other = docs.join(F.broadcast(_some(docs.join(said.select(key), key, "left_anti"), key, opts.pool)), key).toPandas().drop_duplicates(key)
-    for rows in (known, other):  # one order whatever the order of arrival
-        rows.sort_values(key, key=lambda c: c.map(lambda x: xxhash.xxh3_64_intdigest(str(x))), inplace=True)
-    text, meta = _features(opts, known)
-    pool_text, pool_meta = _features(opts, other)
-    out = {}
     for t in targets:
         at = np.flatnonzero(known[t].notna().to_numpy()) if len(known) else np.empty(0, int)
         y = (known[t].to_numpy(dtype=float)[at] >= 0.5).astype(float) if len(at) else np.empty(0)
-        out[t] = co_train([text[i] for i in at], [meta[i] for i in at], y, pool_text, pool_meta, opts)
-    return out
+        trainings[t] = _training([text[i] for i in at], [meta[i] for i in at], y, opts)
+        move(t)
+    while states:
+        won = _surest(other, states, taken, opts).toPandas()
+        ids = other.sparkSession.createDataFrame([(x,) for x in dict.fromkeys(won["_id"].tolist())], other.select("_id").schema)
+        rows = other.join(F.broadcast(ids), "_id").groupBy("_id").agg(F.min(F.struct("t", "m")).alias("f")).select("_id", "f.t", "f.m").toPandas()
+        won = won.merge(rows, on="_id").sort_values(["label", "sure", "_id"], ascending=[True, False, True])
+        for t in list(states):
+            new = []
+            for v in (0, 1):
+                own = won[(won["target"] == t) & (won["view"] == v)]
+                taken[t, v].update(own["_id"].tolist())
+                new.append((_rows(own["m" if v == 0 else "t"]), own["label"].tolist()))
+            move(t, new)
+    return {t: out[t] for t in targets}
 
 
 def classify(docs: DataFrame, labels: DataFrame, targets: list[str], key: str = "doc_id", opts: CoTraining = CoTraining()) -> DataFrame:
@@ -242,23 +333,20 @@ def classify(docs: DataFrame, labels: DataFrame, targets: list[str], key: str =
     empty, null metadata as a value of its own; repeated rows are scored each. With
     no usable label all documents get one probability.
     """
-    pairs = fit_views(docs, labels, targets, key, opts)
-    sent = docs.sparkSession.sparkContext.broadcast((pairs, opts))
+    featured = _featured(docs, key, opts)
+    sent = docs.sparkSession.sparkContext.broadcast(fit_views(docs, labels, targets, key, opts, featured))
     schema = ", ".join(f"`{t}` double, `{t}_text` double, `{t}_metadata` double" for t in targets)
 
     def score(columns: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.DataFrame]:
-        pairs, opts = sent.value
-        text, meta = TextView(opts.bits), MetaView(opts.bits)
-        for ts, langs, sources, sizes in columns:
-            ts = texts(ts)
-            a, b = [text(t) for t in ts], [meta(*r) for r in zip(ts, langs, sources, sizes, strict=True)]
+        for ts, ms in columns:
+            a, b = _rows(ts), _rows(ms)
             out = {}
-            for t, pair in pairs.items():
+            for t, pair in sent.value.items():
                 out[t], out[f"{t}_text"], out[f"{t}_metadata"] = pair(a, b)
             yield pd.DataFrame(out)
 
     score.__annotations__ = {"columns": Iterator[tuple[pd.Series, ...]], "return": Iterator[pd.DataFrame]}
-    scored = docs.select(key, F.pandas_udf(score, schema).asNondeterministic()("text", "lang", "source", "n_chars").alias("_p"))
+    scored = featured.select(F.col("_id").alias(key), F.pandas_udf(score, schema).asNondeterministic()("t", "m").alias("_p"))
     return scored.select(key, "_p.*")
 
 
