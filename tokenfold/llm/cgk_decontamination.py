@@ -16,9 +16,9 @@ with a fifth of edits falls out of step, one over a short part of it often does
 
 How many walks an item needs for the target recall follows from its length and is
 measured on random strings with random edits. Items that the most walks do not serve,
-the short ones, are searched exactly: of the parts of an item one has no more than
-its share of the edits, and all parts are compared with every place of all texts,
-bit-parallel, many parts and places at once. The pass over documents is narrow; only the items, a stated query set, are sent out, in blocks.
+the short ones, are searched exactly: what their edits leave of their runs of four
+characters is counted over all texts. Candidates of both kinds first meet a lower
+bound of their edits, many at once; the edit distance of what is left decides. The pass over documents is narrow; only the items, a stated query set, are sent out, in blocks.
 """
 
 from __future__ import annotations
@@ -42,17 +42,15 @@ class Walks:
     edits: float = 0.2
     #: Chance that a passage with that share of random edits is a candidate; sets the walks of each item.
     recall: float = 0.99
-    stride: int = 8
-    steps: int = 48
+    stride: int = 4
+    steps: int = 40
     #: Most walks of an item; items that need more are searched exactly.
-    walks: int = 6
+    walks: int = 2
     tables: int = 6
     #: Places that a table samples.
     places: int = 16
-    #: Shorter items are ignored.
-    least: int = 16
     #: Passages of each length from which the recall is measured.
-    trials: int = 400
+    trials: int = 300
     seed: int = 0
     #: Items sent out at once.
     block: int = 5000
@@ -76,24 +74,24 @@ class Walker:
     def __init__(self, opts: Walks):
         self.opts = opts
         rng = np.random.Generator(np.random.PCG64(opts.seed))
-        self.bits = rng.integers(0, 2, (opts.walks, opts.steps, 256), dtype=np.uint8)
-        self.bits[:, :, 0] = 0
-        self.samples = [[set(rng.choice(opts.steps, opts.places, replace=False).tolist()) for _ in range(opts.tables)] for _ in range(opts.walks)]
-        self.odd = rng.integers(1, 2**62, (opts.walks, opts.tables), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        # a number for each walk, step and character, whose lowest bit moves the head
+        self.numbers = rng.integers(0, 2**64, (opts.walks, opts.steps, 256), dtype=np.uint64)
+        self.numbers[:, :, 0] &= ~np.uint64(1)
+        samples = [[set(rng.choice(opts.steps, opts.places, replace=False).tolist()) for _ in range(opts.tables)] for _ in range(opts.walks)]
+        self.tables_at = [[[t for t, s in enumerate(own) if j in s] for j in range(opts.steps)] for own in samples]
 
     def keys(self, symbols: np.ndarray, at: np.ndarray, walks: int | None = None) -> Iterator[np.ndarray]:
         """Keys of one table after another, of the first walks or of all. symbols must end in at least STEPS zeros."""
-        o = self.opts
+        o, move, wide = self.opts, np.uint64(1), symbols.astype(np.intp)
         for w in range(o.walks if walks is None else walks):
-            head, keys = at.copy(), [np.zeros(len(at), np.uint64) for _ in range(o.tables)]
-            for j in range(o.steps):
-                c = symbols[head]
-                for t, sample in enumerate(self.samples[w]):
-                    if j in sample:
-                        keys[t] *= self.odd[w, t]
-                        keys[t] += c
-                head += self.bits[w, j][c]
-            yield from (mix(k) for k in keys)
+            head, keys = at.astype(np.int64), np.zeros((o.tables, len(at)), np.uint64)
+            for numbers, tables in zip(self.numbers[w], self.tables_at[w], strict=True):
+                written = numbers.take(wide.take(head))
+                for t in tables:
+                    keys[t] ^= written
+                written &= move
+                head += written.view(np.int64)
+            yield from keys
 
 
 class EditDistance:
@@ -123,40 +121,42 @@ class EditDistance:
         return best, end
 
 
-def _strings(rng: np.random.Generator, n: int, length: int, edits: int) -> tuple[np.ndarray, np.ndarray]:
-    """Random strings over 26 letters, and the same with substitutions, deletions and insertions at random places."""
+def _passages(rng: np.random.Generator, n: int, length: int, edits: int, after: int) -> tuple[np.ndarray, np.ndarray]:
+    """Random strings over 26 letters, and the same with substitutions, deletions and insertions at random places and other text behind."""
     plain = rng.integers(2, 28, (n, length)).astype(np.uint8)
-    other = []
-    for row in plain:
+    other = rng.integers(2, 28, (n, length + edits + after)).astype(np.uint8)
+    for row, out in zip(plain, other, strict=True):
         t = row.tolist()
         for kind in rng.integers(0, 3, edits).tolist():
             i, c = int(rng.integers(len(t))), int(rng.integers(2, 28))
             t[i : i + (kind < 2)] = [c][: kind != 1]
-        other.append(np.array([*t, *[0] * (2 * length - len(t))], np.uint8))
-    return plain, np.array(other)
+        out[: len(t)] = t
+    return plain, other
+
+
+#: Characters by which the lengths grow for which recall is measured.
+LENGTHS = 16
 
 
 @lru_cache(8)
-def walks_by_length(opts: Walks, step: int = 16) -> tuple[int, ...]:
-    """Walks that items of step, 2 step, ... characters need; walks + 1 where all are too few. The last holds for all longer ones."""
+def walks_by_length(opts: Walks) -> tuple[int, ...]:
+    """Walks that items of LENGTHS, 2 LENGTHS, ... characters need; walks + 1 where all are too few. The last holds for all longer ones."""
     out, walker = [], Walker(opts)
-    for length in range(step, 64 * step, step):
+    for length in range(LENGTHS, 64 * LENGTHS, LENGTHS):
         if length <= opts.steps // 2:
             out.append(opts.walks + 1)
             continue
         rng = np.random.Generator(np.random.PCG64(opts.seed + length))
-        plain, other = _strings(rng, opts.trials, length, int(opts.edits * length))
-        pad = opts.steps + 1
+        plain, other = _passages(rng, opts.trials, length, int(opts.edits * length), 2 * opts.steps)
         item_at = np.arange(max(1, length - opts.steps // 2))
-        symbols = np.pad(plain, ((0, 0), (0, pad)))
+        symbols = np.pad(plain, ((0, 0), (0, opts.steps + 1)))
         shift = rng.integers(0, opts.stride, opts.trials)
         text_at = shift[:, None] + np.arange(0, length, opts.stride)[None, :]
-        texts_ = np.pad(other, ((0, 0), (0, pad)))
         ours = walker.keys(symbols.reshape(-1), (np.arange(opts.trials)[:, None] * symbols.shape[1] + item_at[None, :]).reshape(-1))
-        theirs = walker.keys(texts_.reshape(-1), (np.arange(opts.trials)[:, None] * texts_.shape[1] + text_at).reshape(-1))
+        theirs = walker.keys(other.reshape(-1), (np.arange(opts.trials)[:, None] * other.shape[1] + text_at).reshape(-1))
         hit, need = np.zeros(opts.trials, bool), opts.walks + 1
+        own = np.uint64(0x9E3779B97F4A7C15) * np.arange(opts.trials, dtype=np.uint64)[:, None]
         for t, (a, b) in enumerate(zip(ours, theirs, strict=True), 1):
-            own = np.uint64(0x9E3779B97F4A7C15) * np.arange(opts.trials, dtype=np.uint64)[:, None]
             hit |= np.isin(mix(b.reshape(opts.trials, -1) ^ own), mix(a.reshape(opts.trials, -1) ^ own)).any(axis=1)
             if t % opts.tables == 0 and hit.mean() >= opts.recall:
                 need = t // opts.tables
@@ -167,60 +167,145 @@ def walks_by_length(opts: Walks, step: int = 16) -> tuple[int, ...]:
     return tuple(out)
 
 
-class Parts:
-    """Parts of items, compared with every place of many texts at once (Myers, a part to each 64-bit word)."""
-
-    def __init__(self, items: list[tuple[int, str]], edits: float, lane: int = 1024):
-        cut = [(i, t, n * len(t) // k, (n + 1) * len(t) // k) for i, t in items for k in [-(-len(t) // 64)] for n in range(k)]
-        self.of, self.end = np.array([c[0] for c in cut]), np.array([c[3] for c in cut])
-        size = np.array([c[3] - c[2] for c in cut])
-        slack = np.array([int(edits * len(c[1])) for c in cut])
-        self.most = (slack * size // np.array([len(c[1]) for c in cut])).astype(np.int16)[:, None]
-        self.size, self.top, self.lane = size.astype(np.int16)[:, None], (size - 1).astype(np.uint64)[:, None], lane
-        self.before = int((size + self.most[:, 0]).max())
-        self.masks = np.zeros((len(cut), 256), np.uint64)
-        for p, (_, t, low, high) in enumerate(cut):
-            for k, c in enumerate(_symbols(t)[low:high].tolist()):
-                self.masks[p, c] |= np.uint64(1 << k)
-
-    def __call__(self, symbols: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """Items, their estimated starts and the places where a part ends with no more than its share of edits."""
-        n = -(-len(symbols) // self.lane)
-        padded = np.zeros(self.before + n * self.lane, np.uint8)
-        padded[self.before : self.before + len(symbols)] = symbols
-        lanes = np.lib.stride_tricks.sliding_window_view(padded, self.before + self.lane)[:: self.lane].T
-        step = max(1, (1 << 13) // n)
-        for low in range(0, len(self.of), step):
-            p = slice(low, low + step)
-            masks, top, most, one = self.masks[p], self.top[p], self.most[p], np.uint64(1)
-            rise, fall = np.full((len(masks), n), ~np.uint64(0)), np.zeros((len(masks), n), np.uint64)
-            score = np.repeat(self.size[p], n, axis=1)
-            for j, c in enumerate(lanes):
-                same = masks[:, c]
-                x = ((same & rise) + rise ^ rise) | same | fall
-                up, down = fall | ~(x | rise), rise & x
-                score += (up >> top & one).astype(np.int16)
-                score -= (down >> top & one).astype(np.int16)
-                up <<= one
-                down <<= one
-                rise, fall = down | ~(x | up), up & x
-                if j >= self.before and (near := score <= most).any():
-                    part, lane = np.nonzero(near)
-                    place = lane * self.lane + (j - self.before)
-                    yield self.of[low + part], place + 1 - self.end[low + part], place
+class ShortItems:
+    """Where items that are searched exactly may stand, by counts of their runs of four characters.
+
+    A passage with e edits shares at least n - 3 - 4 e such runs with its item of n
+    characters, so neighbouring blocks of a text that hold fewer runs of the item do not
+    hold it. Runs are hashed, which only raises counts; the counters of four items lie
+    side by side in one integer.
+    """
+
+    RUN, BLOCK, LANES, BITS, JOINED = 4, 16, 4, 13, 8
+
+    def __init__(self, items: list[tuple[int, str]], edits: float):
+        self.columns = []
+        ordered = sorted(items, key=lambda x: len(x[1]))
+        for low in range(0, len(ordered), self.LANES):
+            some = ordered[low : low + self.LANES]
+            counts, need, longest = np.zeros(1 << self.BITS, np.uint64), [], 0
+            for lane, (_, t) in enumerate(some):
+                slack = int(edits * len(t))
+                counts[np.unique(self.runs(_symbols(t)))] |= np.uint64(1 << 16 * lane)
+                need.append(max(0, len(t) - self.RUN + 1 - self.RUN * slack))
+                longest = max(longest, len(t) + slack)
+            blocks = max(0, longest - self.RUN - 1) // self.BLOCK + 2
+            self.columns.append((np.array([i for i, _ in some]), counts, np.array(need), blocks))
+
+    def runs(self, symbols: np.ndarray) -> np.ndarray:
+        wide, n = symbols.astype(np.uint32), max(0, len(symbols) - self.RUN + 1)
+        mixed = np.zeros(n, np.uint32)
+        for k in range(self.RUN):
+            mixed = mixed * np.uint32(31) + wide[k : k + n]
+        return (mixed * np.uint32(2654435761) >> np.uint32(32 - self.BITS)).astype(np.intp)
+
+    def __call__(self, symbols: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Items, the middle of the blocks in which their passage may start, and half the width of these."""
+        n = -(-len(symbols) // self.BLOCK)
+        padded = np.zeros(n * self.BLOCK + self.RUN - 1, np.uint8)
+        padded[: len(symbols)] = symbols
+        runs, found = self.runs(padded), [np.empty((3, 0), np.int64)]
+        for items, counts, need, blocks in self.columns:
+            each = counts[runs].reshape(n, self.BLOCK).sum(axis=1)
+            total = each.copy()
+            for k in range(1, min(blocks, n)):
+                total[: n - k] += each[k:]
+            lane, block = np.nonzero((total.view(np.uint16).reshape(n, self.LANES)[:, : len(items)] >= need).T)
+            # neighbouring blocks are one candidate, up to JOINED of them
+            new = np.flatnonzero((np.diff(block, prepend=-2) != 1) | (np.diff(lane, prepend=-1) != 0))
+            run = np.repeat(np.arange(len(new)), np.diff(new, append=len(block)))
+            new = np.flatnonzero((np.arange(len(block)) - new[run]) % self.JOINED == 0) if len(new) else new
+            half = np.diff(new, append=len(block)) * self.BLOCK // 2
+            found.append(np.stack([items[lane[new]], block[new] * self.BLOCK + half, half]))
+        return tuple(np.concatenate(found, axis=1))
+
+
+_ONE = np.uint64(1)
+#: All but the 22 bits of a key that a quick look-up uses.
+_SEEN = np.uint64(64 - 22)
+
+
+class PartBounds:
+    """Lower bounds of edit distances for many candidates at once.
+
+    An item's edits are at least the sum over its parts of up to 64 characters of each
+    part's least distance to any stretch near its place (Myers, a part to a 64-bit
+    word). Candidates whose sum is over the limit go; the others are to be checked.
+    """
+
+    def __init__(self, items: list[str], edits: float):
+        k = np.array([-(-len(t) // 64) for t in items], np.int64)
+        cuts = [(t, n * len(t) // m, (n + 1) * len(t) // m) for t, m in zip(items, k.tolist(), strict=True) for n in range(m)]
+        self.first, self.count = np.cumsum(k) - k, k
+        self.low, self.size = np.array([c[1] for c in cuts], np.int64), np.array([c[2] - c[1] for c in cuts], np.int64)
+        self.limit = np.array([int(edits * len(t)) for t in items], np.int64)
+        # a pattern ends in the highest bit; the free bits below match everything and cost nothing
+        self.masks = np.zeros((len(cuts), 256), np.uint64)
+        for p, (t, low, high) in enumerate(cuts):
+            free = 64 - (high - low)
+            self.masks[p] = np.uint64((1 << free) - 1)
+            for bit, c in enumerate(_symbols(t[low:high]).tolist(), free):
+                self.masks[p, c] |= np.uint64(1 << bit)
+
+    def _least(self, part: np.ndarray, symbols: np.ndarray, low: np.ndarray, length: int) -> np.ndarray:
+        """Least distance of each part to a stretch of the symbols from low on."""
+        masks, row = self.masks.reshape(-1), part * 256
+        free = (64 - self.size[part]).astype(np.uint64)
+        rise, fall = ~((np.uint64(1) << free) - np.uint64(1)), np.zeros(len(part), np.uint64)
+        score = self.size[part].astype(np.int16)
+        best = score.copy()
+        for c in symbols[np.minimum(low[None, :] + np.arange(length)[:, None], len(symbols) - 1)]:
+            same = masks[row + c]
+            x = same & rise
+            x += rise
+            x ^= rise
+            x |= same
+            x |= fall
+            down = rise & x
+            up = x | rise
+            np.invert(up, out=up)
+            up |= fall
+            score += up.view(np.int64) < 0
+            score -= down.view(np.int64) < 0
+            np.minimum(best, score, out=best)
+            up <<= _ONE
+            down <<= _ONE
+            fall = up & x
+            x |= up
+            np.invert(x, out=x)
+            rise = down | x
+        return best
+
+    def __call__(self, item: np.ndarray, symbols: np.ndarray, about: np.ndarray, wide: np.ndarray, step: int = 2048) -> np.ndarray:
+        """Which candidates the bound leaves; about: where the item may start, give or take `wide` and its edits."""
+        left, limit = np.flatnonzero(item >= 0), self.limit[item]
+        total, r = np.zeros(len(item), np.int64), 0
+        while True:
+            more = left[self.count[item[left]] > r]
+            if not len(more):
+                return left
+            more = more[np.argsort(limit[more] + wide[more], kind="stable")]
+            for low in range(0, len(more), step):
+                own = more[low : low + step]
+                part, slack = self.first[item[own]] + r, limit[own] + wide[own]
+                total[own] += self._least(part, symbols, np.maximum(about[own] + self.low[part] - slack, 0), int(64 + 2 * slack.max()))
+            left, r = left[total[left] <= limit[left]], r + 1
 
 
 class Items:
-    """A block of items with the tables of their walks, and the parts of those that are searched exactly."""
+    """A block of items with the tables of their walks, and the counting filter of those that are searched exactly."""
+
+    #: Characters by which a candidate's place is uncertain beside its edits.
+    WIDE = 8
 
     def __init__(self, items: list[tuple[object, str]], opts: Walks, needs: tuple[int, ...] | None = None):
         self.opts, self.walker = opts, Walker(opts)
-        self.items = [(key, folded(t)) for key, t in items if t and len(t) >= opts.least]
+        self.items = [(key, folded(t)) for key, t in items if t]
         self.reverse: dict[int, tuple[EditDistance, EditDistance]] = {}
         needs = needs or walks_by_length(opts)
         exact, symbols, at, of, offset, need, total = [], [], [], [], [], [], 0
         for i, (_, t) in enumerate(self.items):
-            walks = needs[min(len(t) // 16, len(needs)) - 1]
+            walks = needs[min(len(t) // LENGTHS, len(needs)) - 1] if len(t) >= LENGTHS else opts.walks + 1
             if walks > opts.walks:
                 exact.append((i, t))
                 continue
@@ -232,7 +317,8 @@ class Items:
             offset.append(starts)
             need.append(np.full(len(starts), walks))
             total += len(t) + opts.steps + 1
-        self.parts = Parts(exact, opts.edits) if exact else None
+        self.short = ShortItems(exact, opts.edits)
+        self.bounds = PartBounds([t for _, t in self.items], opts.edits)
         self.tables, self.walks = [], 0
         if at:
             of_all, offset_all, need_all = np.concatenate(of), np.concatenate(offset), np.concatenate(need)
@@ -241,62 +327,71 @@ class Items:
                 own = np.flatnonzero(need_all > t // opts.tables)
                 order = own[np.argsort(keys[own], kind="stable")]
                 seen = np.zeros(1 << 22, bool)
-                seen[keys[own] & np.uint64((1 << 22) - 1)] = True
+                seen[keys[own] >> _SEEN] = True
                 self.tables.append((seen, keys[order], of_all[order], offset_all[order]))
 
-    def check(self, i: int, text: str, about: int) -> tuple[int, int, int] | None:
-        """Edits, start and end of item i near a place of a folded text, if it is there."""
+    def within(self, i: int, text: str, low: int, high: int) -> tuple[int, int, int] | None:
+        """Edits, start and end of item i in a stretch of a folded text, if it is there."""
         item = self.items[i][1]
         if i not in self.reverse:
             self.reverse[i] = EditDistance(item), EditDistance(item[::-1])
-        slack = int(self.opts.edits * len(item))
-        wide = 2 * slack + self.opts.stride
-        low = max(0, about - wide)
-        part = text[low : max(0, about + len(item) + wide)]
+        low = max(0, low)
+        part = text[low : max(0, high)]
         edits, end = self.reverse[i][0].nearest(part)
-        if edits > slack:
+        if edits > int(self.opts.edits * len(item)):
             return None
         _, back = self.reverse[i][1].nearest(part[:end][::-1], from_start=True)
         return edits, low + end - back, low + end
 
-    def candidates(self, batch: list[str]) -> set[tuple[int, int, int]]:
-        """Text, item and estimated start in the text, in steps of half the stride."""
-        o, pad, lengths = self.opts, np.zeros(self.opts.steps + 1, np.uint8), [len(t) for t in batch]
-        symbols = np.concatenate([x for t in batch for x in (_symbols(t), pad)])
-        first = np.cumsum([0, *(n + o.steps + 1 for n in lengths)])
-        at = np.concatenate([np.arange(f, f + n, o.stride) for f, n in zip(first, lengths, strict=False)])
-        out: set[tuple[int, int, int]] = set()
-        for low in range(0, len(at), 1 << 15):
-            part = at[low : low + (1 << 15)]
-            for (seen, keys, of, offset), own in zip(self.tables, self.walker.keys(symbols, part, self.walks), strict=True):
-                hit = np.flatnonzero(seen[own & np.uint64((1 << 22) - 1)])
+    def candidates(self, symbols: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Items, their estimated starts in the symbols of many texts, and how far off these may be; first: where the texts begin."""
+        o = self.opts
+        at = np.concatenate([np.arange(f, g - o.steps - 1, o.stride) for f, g in zip(first, first[1:], strict=False)])
+        found = [np.stack(self.short(symbols))]
+        for low in range(0, len(at), 1 << 13):
+            part = at[low : low + (1 << 13)]
+            start, end = int(part[0]), int(part[-1]) + o.steps + 1
+            for (seen, keys, of, offset), own in zip(self.tables, self.walker.keys(symbols[start:end], part - start, self.walks), strict=True):
+                hit = np.flatnonzero(seen.take((own >> _SEEN).view(np.int64)))
                 left = np.searchsorted(keys, own[hit], "left")
                 n = np.searchsorted(keys, own[hit], "right") - left
                 hit, left, n = hit[n > 0], left[n > 0], n[n > 0]
                 if len(hit):
                     j = np.repeat(left - np.cumsum(n) + n, n) + np.arange(n.sum())
-                    place = np.repeat(part[hit], n)
-                    doc = np.searchsorted(first, place, "right") - 1
-                    about = place - first[doc] - offset[j]
-                    out.update(zip(doc.tolist(), of[j].tolist(), (about // (o.stride // 2)).tolist(), strict=True))
-        for i, start, place in self.parts(symbols) if self.parts else ():
-            doc = np.minimum(np.searchsorted(first, place, "right") - 1, len(batch) - 1)
-            out.update(zip(doc.tolist(), i.tolist(), ((start - first[doc]) // (o.stride // 2)).tolist(), strict=True))
-        return out
+                    about = (np.repeat(part[hit], n) - offset[j]) // self.WIDE * self.WIDE
+                    found.append(np.stack([of[j], about, np.full(len(j), self.WIDE)]))
+        item, about, wide = np.concatenate(found, axis=1)
+        _, one = np.unique(item * (2 * len(symbols) + 1) + about + len(symbols), return_index=True)
+        return item[one], about[one], wide[one]
 
     def __call__(self, batch: list[str]) -> list[tuple[int, int, int, int, int]]:
         """Text, item, edits, start and end of the best place of each item in each text."""
         batch = [folded(t) for t in batch]
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
-        if self.items and any(batch):
-            checked: dict[tuple[int, int], list[int]] = {}
-            step = self.opts.stride // 2
-            for d, i, about in sorted(self.candidates(batch)):
-                near = checked.setdefault((d, i), [])
-                if near and about * step - near[-1] <= self.opts.edits * len(self.items[i][1]):
-                    continue  # that check looked as far as here
-                near.append(about * step)
-                if (got := self.check(i, batch[d], about * step)) is not None and got < best.get((d, i), (1 << 30,)):
+        if not self.items or not any(batch):
+            return []
+        pad = np.zeros(self.opts.steps + 1, np.uint8)
+        symbols = np.concatenate([x for t in batch for x in (_symbols(t), pad)])
+        first = np.cumsum([0, *(len(t) + len(pad) for t in batch)])
+        item, about, wide = self.candidates(symbols, first)
+        left = self.bounds(item, symbols, about, wide)
+        stretches: dict[tuple[int, int], list[list[int]]] = {}
+        for i, a, w in sorted(zip(item[left].tolist(), about[left].tolist(), wide[left].tolist(), strict=True)):
+            n, slack = len(self.items[i][1]), int(self.bounds.limit[i])
+            low, high = a - slack - w, a + n + 2 * slack + w
+            d = max(0, int(np.searchsorted(first, low, "right")) - 1)
+            while d < len(batch) and first[d] < high:
+                x, y = max(0, low - int(first[d])), min(len(batch[d]), high - int(first[d]))
+                if x < y:
+                    own = stretches.setdefault((d, i), [])
+                    if own and x <= own[-1][1]:
+                        own[-1][1] = max(y, own[-1][1])
+                    else:
+                        own.append([x, y])
+                d += 1
+        for (d, i), places in stretches.items():
+            for low, high in places:
+                if (got := self.within(i, batch[d], low, high)) is not None and got < best.get((d, i), (1 << 30,)):
                     best[d, i] = got
         return [(d, i, *got) for (d, i), got in sorted(best.items())]
 
