@@ -18,11 +18,12 @@ from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WORD, WordHashes, fresh, gram_hashes, mix, settle, table, texts
+from .common import WORD, WordHashes, bitmap, fresh, gram_hashes, in_bitmap, mix, settle, table, texts
 from .components import components
 
 
@@ -42,6 +43,13 @@ class Join:
     #: Nodes of a large bucket or group that are compared with each other in one task.
     block: int = 1024
 
+    #: Bits of the map of texts that are compared exactly, a power of two.
+    map_bits: int = 1 << 26
+
+    def __post_init__(self):
+        if 2 * self.runs > self.values:  # half of the values are for deeper splits
+            raise ValueError(f"a recall of {self.recall} at a similarity of {self.least} takes {self.runs} runs, so at least {2 * self.runs} values, not {self.values}")
+
     @property
     def runs(self) -> int:
         """Each run's split keeps a pair together with its similarity; deeper splits follow a branching process."""
@@ -49,7 +57,7 @@ class Join:
         for _ in range(self.depth):
             alive = 1 - math.exp(-alive)  # a split keeps one shared child on average
         p = self.least * alive
-        return min(self.values // 2, math.ceil(math.log(1 - self.recall) / math.log(1 - p)))
+        return math.ceil(math.log(1 - self.recall) / math.log(1 - p))
 
     @property
     def loose(self) -> int:
@@ -306,6 +314,15 @@ def _classes(df: DataFrame, key: str, text: str, opts: Join) -> tuple[DataFrame,
     # Exact comparison inside the groups.
     sized = groups.groupBy("root").agg(F.count("*").alias("size"))
     inside = groups.join(sized, "root").join(nodes.select("node", "rep", "copies"), "node").select("node", F.xxhash64("root").alias("group"), "size", "copies", F.col("rep.id").alias("_rep"), F.col("rep.said").alias("_said"))
+    # texts of no group stay where they are: only those whose hash is on the map take part in the join
+    inside = settle(inside, "inside")
+    sent = spark.sparkContext.broadcast(bitmap(inside.filter("_said IS NOT NULL"), "_said", opts.map_bits))
+
+    def wanted(said: pd.Series) -> pd.Series:
+        return pd.Series(in_bitmap(sent.value, said.to_numpy()))
+
+    wanted.__annotations__ = {"said": pd.Series, "return": pd.Series}
+    slim = slim.filter(F.pandas_udf(wanted, "boolean")("said"))
     whole = slim.join(inside, F.col("_id").eqNullSafe(F.col("_rep")) & (F.col("said") == F.col("_said"))).select("node", "group", "size", "copies", "text")
     exact = settle(_blocks(whole, "size", opts.block).select("key", "node", "text", "copies", "block", "lone").repartition(parts, "key").sortWithinPartitions("key").mapInArrow(_verify(opts), "a binary, b binary, links long"), "links")
     linked = exact.groupBy(F.col("a").alias("node")).agg(F.sum("links").alias("links"))

@@ -10,6 +10,7 @@ from collections.abc import Iterable
 import numpy as np
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Words of a text: runs without ASCII white space.
 WORD = re.compile(r"[^\x20\x09-\x0d]+")
@@ -52,6 +53,23 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
+def bitmap(df: DataFrame, column: str, bits: int) -> np.ndarray:
+    """Which places of a table of bits (a power of two) a column's hashes fall on, 64 to a number.
+
+    Its size is fixed, however many rows there are: the fuller it is, the more strangers it lets through.
+    """
+    place, low = F.col(column).bitwiseAND(bits - 1), F.col(column).bitwiseAND(63).cast("int")
+    rows = df.groupBy(F.shiftright(place, 6).alias("number")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), low)).alias("bits")).toArrow()
+    out = np.zeros(bits >> 6, np.int64)
+    out[rows.column("number").to_numpy()] = rows.column("bits").to_numpy()
+    return out
+
+
+def in_bitmap(seen: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+    place = hashes & np.int64(64 * len(seen) - 1)
+    return (seen[place >> 6] >> (place & 63) & 1).astype(bool)
+
+
 class WordHashes:
     """64-bit hashes of words, remembered up to a fixed number of words."""
 

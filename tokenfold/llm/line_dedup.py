@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import fresh, settle, table, texts
+from .common import WORD, fresh, settle, table, texts
 
 _SPACE = re.compile(r"[\x20\x09-\x0d]+")
 _BREAK = {"line": re.compile(r"\n"), "paragraph": re.compile(r"\n(?:[\x20\x09-\x0d]*\n)+")}
@@ -82,29 +82,55 @@ def _repeated(df: DataFrame, key: str, text: str, unit: str, least_words: int) -
     return found.filter(~same).select(F.col("_id").alias(key), "said", "unit", "start", "length", F.col("first.id").alias(f"first_{key}"))
 
 
+def _places(text: str, spans: list) -> list[tuple[int, int]]:
+    """Characters to cut, from spans of characters and of words, in order and without overlap."""
+    words = [m.span() for m in WORD.finditer(text)] if any(s["words"] for s in spans) else []
+    places = []
+    for s in spans:
+        start, length = s["start"], s["length"]
+        if not s["words"]:
+            places.append((start, min(len(text), start + length + 1)))  # with the line break after it
+        elif start + length <= len(words):
+            end = words[start + length - 1][1]
+            while end < len(text) and text[end] == " ":
+                end += 1
+            places.append((words[start][0], end))
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(places):
+        if out and a <= out[-1][1]:
+            out[-1] = out[-1][0], max(b, out[-1][1])
+        else:
+            out.append((a, b))
+    return out
+
+
 @F.pandas_udf(T.StringType())
 def _cut(text: pd.Series, spans: pd.Series) -> pd.Series:
     out = []
     for t, ss in zip(text, spans, strict=True):
         if t is not None and ss is not None and len(ss):
             at, kept = 0, []
-            for s in ss:
-                start, length = s["start"], s["length"]
-                kept.append(t[at:start])
-                at = min(len(t), start + length + 1)  # with the line break after it
+            for a, b in _places(t, ss):
+                kept.append(t[at:a])
+                at = b
             t = "".join([*kept, t[at:]])
         out.append(t)
     return pd.Series(out)
 
 
-def drop_repeated_units(df: DataFrame, key: str = "doc_id", text: str = "text", unit: str = "line", least_words: int = 1, length: str | None = None) -> DataFrame:
+def drop_repeated_units(df: DataFrame, key: str = "doc_id", text: str = "text", unit: str = "line", least_words: int = 1, length: str | None = None, passages: DataFrame | None = None) -> DataFrame:
     """The rows with repeated units cut out of their text; all other columns stay.
 
     length names a column that holds the text's length in code points, if there is one.
+    passages: further spans to cut, as words of the texts (_id, said, start, length). A
+    unit's first occurrence stays, so a text without a repeat stays as it is, as do null
+    texts; a row that repeats is cut as its twin is. Texts of any length are cut whole.
     """
-    spans = _repeated(df, key, text, unit, least_words).select(F.col(key).alias("_of"), "said", "start", "length").distinct()
+    spans = _repeated(df, key, text, unit, least_words).select(F.col(key).alias("_of"), "said", F.struct(F.lit(False).alias("words"), "start", "length").alias("s"))
+    if passages is not None:
+        spans = spans.unionByName(passages.select(F.col("_id").alias("_of"), "said", F.struct(F.lit(True).alias("words"), "start", "length").alias("s")))
     s, o, h, t = (fresh(df, c) for c in ("_spans", "_of", "_said", "_hash"))
-    by_doc = spans.groupBy(F.col("_of").alias(o), F.col("said").alias(h)).agg(F.sort_array(F.collect_list(F.struct("start", "length"))).alias(s))
+    by_doc = spans.groupBy(F.col("_of").alias(o), F.col("said").alias(h)).agg(F.collect_set("s").alias(s))
     hashed = df.withColumn(t, F.xxhash64(F.col(text).cast("string")))
     out = hashed.join(by_doc, hashed[key].eqNullSafe(by_doc[o]) & (hashed[t] == by_doc[h]), "left").drop(o, h, t)
     out = out.withColumn(text, F.when(F.col(s).isNull(), F.col(text)).otherwise(_cut(F.when(F.col(s).isNotNull(), F.col(text)), F.col(s)))).drop(s)
