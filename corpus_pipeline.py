@@ -1,6 +1,6 @@
 """From raw documents to packed training sequences.
 
-Quality rules, one document of each group of near copies, repeated lines out,
+Quality rules, one document of each group of near copies, repeated lines and passages out,
 benchmark passages out, and the rest packed. Each stage works on all rows that
 the one before kept, and all but the last return the columns of documents.
 """
@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tokenfold.llm import cgk_decontamination, chosen_path, compression_bands, line_dedup, packing
+from tokenfold.llm import cgk_decontamination, chosen_path, compression_bands, line_dedup, packing, sparse_suffixes
 from tokenfold.llm.common import settle, table
 
 
@@ -23,9 +23,10 @@ def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return chosen_path.drop_similar(docs)
 
 
-def repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines that an earlier document or line holds are cut out; n_chars follows."""
-    return line_dedup.drop_repeated_units(docs, length="n_chars" if "n_chars" in docs.columns else None)
+def repeated_text(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Lines that an earlier document or line holds are cut out, and passages of 50 words or more that start anywhere in a line; n_chars follows."""
+    passages = sparse_suffixes.later_passages(docs)
+    return line_dedup.drop_repeated_units(docs, length="n_chars" if "n_chars" in docs.columns else None, passages=passages)
 
 
 def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,7 +42,7 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("quality rules", quality_rules),
     ("n-gram Jaccard join", near_copies),
-    ("substring dedup", repeated_lines),
+    ("substring dedup", repeated_text),
     ("benchmark decontamination", benchmark_passages),
     ("packing", packed),
 ]
