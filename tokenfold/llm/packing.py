@@ -19,7 +19,6 @@ from __future__ import annotations
 import os
 from collections.abc import Iterator
 from dataclasses import dataclass
-from unicodedata import is_normalized
 
 import numpy as np
 import pandas as pd
@@ -64,80 +63,93 @@ class WordIds:
         ends = self.tokenizer.get_vocab().items()
         self.closes = np.zeros(self.size, bool)
         self.closes[[i for w, i in ends if w.endswith("</w>")]] = True
-        self.tails = {t: self._whole(t) for t in ("", ".", ",")}
+        self.tails = {t: self.tokenizer.encode(t, add_special_tokens=False).ids[0] for t in ".,"}
 
     def _pack(self, ids: list[int]) -> bytes:
         return np.array(ids, self.dtype).tobytes()
 
-    def _learn(self, runs: set[str]) -> None:
-        """Remember the ids of new runs.
+    def _whole(self, text: str) -> bytes:
+        return self._pack(self.tokenizer.encode(text, add_special_tokens=False).ids)
 
-        A capital, or one full stop or comma after a letter, leaves the other ids as
-        they are, so runs that differ only in these share one look-up. Runs of letters
-        are one word each, and are encoded many at a time: a word's last id, and no
+    def _learn(self, runs: list[str], words: np.ndarray) -> None:
+        """Remember the ids of new runs; words tells which are letters alone.
+
+        Those are one word each, and are encoded many at a time: a word's last id, and no
         other, ends in the mark of a word's end.
         """
-        memo, old, words, others, made = self.memo, self.old, set(), set(), []
-        for r in runs:
-            if (got := old.get(r)) is not None:
-                memo[r] = got
-                continue
-            plain, tail = r, ""
-            if len(r) > 1 and r[-1] in ".," and r[-2].isalpha():
-                plain, tail = r[:-1], r[-1]
-            if "Σ" not in plain and (plain.isascii() or is_normalized("NFC", plain)):
-                plain = plain.lower()
-            if tail or plain != r:
-                made.append((r, plain, tail))
-            if plain in memo:
-                continue
-            if (got := old.get(plain)) is not None:
-                memo[plain] = got
-            elif plain.isalpha():
-                words.add(plain)
-            else:
-                others.add(plain)
-        listed = list(words)
+        memo, others = self.memo, [r for r, w in zip(runs, words.tolist(), strict=True) if not w]
+        listed = [r for r, w in zip(runs, words.tolist(), strict=True) if w]
         for low in range(0, len(listed), 200):
             some = listed[low : low + 200]
             ids = np.array(self.tokenizer.encode(" ".join(some), add_special_tokens=False).ids, self.dtype)
             ends = np.flatnonzero(self.closes[ids]) + 1
             if len(ends) != len(some):
-                others.update(some)
+                others += some
                 continue
             packed, at = ids.tobytes(), 0
             for w, end in zip(some, (ends * self.dtype.itemsize).tolist(), strict=True):
                 memo[w] = packed[at:end]
                 at = end
-        rest = list(others)
-        for w, e in zip(rest, self.tokenizer.encode_batch_fast(rest, add_special_tokens=False), strict=True):
+        for w, e in zip(others, self.tokenizer.encode_batch_fast(others, add_special_tokens=False), strict=True):
             memo[w] = self._pack(e.ids)
-        for r, plain, tail in made:
-            memo[r] = memo[plain] + self.tails[tail]
-
-    def _whole(self, text: str) -> bytes:
-        return self._pack(self.tokenizer.encode(text, add_special_tokens=False).ids)
 
-    def _known(self, runs: list[str]) -> list[bytes]:
-        """Ids of distinct runs."""
+    def _known(self, column: pa.Array, plain: pa.Array) -> list[bytes]:
+        """Ids of distinct runs; plain: whether lower case is all that normalising does to a run."""
         if len(self.memo) > self.most:
             self.old, self.memo = self.memo, {}
+        runs = column.to_pylist()
         got = list(map(self.memo.get, runs))
-        if None in got:
-            self._learn({r for r, g in zip(runs, got, strict=True) if g is None})
-            get = self.memo.__getitem__
-            got = [get(r) if g is None else g for r, g in zip(runs, got, strict=True)]
+        new = [i for i, g in enumerate(got) if g is None]
+        if new and self.old:
+            for i in new:
+                if (known := self.old.get(runs[i])) is not None:
+                    self.memo[runs[i]] = got[i] = known
+            new = [i for i in new if got[i] is None]
+        if new:
+            at = pa.array(new)
+            letters = pc.and_(plain.take(at), pc.match_substring_regex(column.take(at), r"^\p{L}+$"))
+            self._learn([runs[i] for i in new], letters.to_numpy(zero_copy_only=False))
+            for i in new:
+                got[i] = self.memo[runs[i]]
         return got
 
+    def _runs(self, runs: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Number of ids of each run, and all ids one run after another.
+
+        A capital, or one full stop or comma after a letter, leaves the other ids as they
+        are, so runs that differ only in these share one look-up. Only letters up to
+        U+024F are treated so: these are composed, and but for U+0130 change one by one.
+        """
+        plain = pc.invert(pc.match_substring_regex(runs, "[^\\x{0}-\\x{24F}]|\\x{130}"))
+        stopped = pc.and_(plain, pc.match_substring_regex(runs, r"\p{L}[.,]$"))
+        low = pc.if_else(plain, pc.utf8_lower(runs), runs)
+        bare = pc.if_else(stopped, pc.utf8_slice_codeunits(low, 0, -1), low).dictionary_encode()
+        codes = bare.indices.to_numpy()
+        some = np.empty(len(bare.dictionary), np.int64)
+        some[codes] = np.arange(len(codes))  # any run of each
+        known = self._known(bare.dictionary, plain.take(pa.array(some)))
+        size = np.array([len(k) for k in known], np.int64) // self.dtype.itemsize
+        start, ids = np.cumsum(size) - size, np.frombuffer(b"".join(known), self.dtype)
+        stop = np.flatnonzero(stopped.to_numpy(zero_copy_only=False))
+        n = size[codes]
+        n[stop] += 1
+        before = np.cumsum(n) - n
+        at = np.repeat(start[codes] - before, n) + np.arange(n.sum())
+        last = (before + n - 1)[stop]
+        at[last] = 0
+        out = ids[at] if len(ids) else np.zeros(len(at), self.dtype)
+        point = pc.ends_with(runs.take(pa.array(stop)), ".").to_numpy(zero_copy_only=False)
+        out[last] = np.where(point, self.tails["."], self.tails[","])
+        return n, out
+
     def __call__(self, column: pa.Array, end: list[int] | None = None) -> tuple[np.ndarray, pa.Array]:
         """How many ids each text has, and the ids, with those of `end` after each text. Null counts as empty."""
         column = pc.fill_null(column, "")
         odd = pc.match_substring_regex(column, "[\x1c-\x1f]")
         spread = pc.utf8_split_whitespace(pc.if_else(odd, "", column))
         coded = spread.flatten().dictionary_encode()
-        known = self._known(coded.dictionary.to_pylist())
-        size = np.array([len(k) for k in known], np.int64) // self.dtype.itemsize
-        start, ids = np.cumsum(size) - size, np.frombuffer(b"".join(known), self.dtype)
+        size, ids = self._runs(coded.dictionary)
+        start = np.cumsum(size) - size
         codes = coded.indices.to_numpy()
         n = size[codes]
         before = np.concatenate([[0], np.cumsum(n)])
