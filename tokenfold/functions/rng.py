@@ -31,9 +31,22 @@ def _uniform(seed: int, tag: str, i: int, j: int) -> float:
     return (int(hashlib.md5(f"{seed}|{tag}|{i}|{j}".encode()).hexdigest()[:13], 16) + 0.5) / _CELLS
 
 
-@lru_cache(64)
+_DRAWN: dict[tuple[int, str, int], np.ndarray] = {}
+#: Numbers that are remembered for one seed and tag; longer arrays are drawn anew.
+_MOST = 1 << 20
+
+
 def uniforms(seed: int, tag: str, n: int, m: int) -> np.ndarray:
-    out = np.array([[_uniform(seed, tag, i, j) for j in range(m)] for i in range(n)]).reshape(n, m)
+    """Numbers of the places up to n by m. Rows that were drawn before are not drawn again, whatever n was."""
+    have = _DRAWN.get((seed, tag, m), np.empty((0, m)))
+    if len(have) < n:
+        more = np.array([[_uniform(seed, tag, i, j) for j in range(m)] for i in range(len(have), n)]).reshape(n - len(have), m)
+        have = np.concatenate([have, more])
+        if have.size <= _MOST:
+            if len(_DRAWN) > 256:
+                _DRAWN.clear()
+            _DRAWN[seed, tag, m] = have
+    out = have[:n]
     out.setflags(write=False)
     return out
 

@@ -28,6 +28,13 @@ def bits_for_target(target: int) -> int:
     return max(1, (target - 1).bit_length())
 
 
+def regions(n: int, prefix: int = 0, suffix: int = 12) -> list[str]:
+    """Region of each place; the suffix comes first where both do not fit."""
+    kept = min(n, suffix)
+    ahead = min(n - kept, prefix)
+    return ["prefix"] * ahead + ["body"] * (n - kept - ahead) + ["suffix"] * kept
+
+
 def budgets(body: int, target: int, window: int) -> list[int]:
     """Groups of each window; they sum to the target."""
     cuts = [*range(0, body, window), body]
@@ -56,6 +63,11 @@ def collision_sql(cosine: str, bits: str) -> str:
     return f"pow(1 - acos(greatest(-1.0, least(1.0, {cosine}))) / pi(), {bits})"
 
 
+def collision(cosine: float, bits: int) -> float:
+    """Chance that two vectors agree in all bits of a sign hash."""
+    return (1 - math.acos(max(-1.0, min(1.0, cosine))) / math.pi) ** bits
+
+
 def rff_tail(n: float, dims: float, eps: float) -> float:
     """Bound of the chance that some kernel value is off by more than eps."""
     return min(1.0, 2 * n * n * math.exp(-dims * eps * eps / 8))
@@ -72,3 +84,8 @@ def matvec_bound(n: float, c: float, dims: float, delta: float) -> float:
 def op_count(backend: str, d: int, dims: int = 256, rank: int = 16, bits: int = 8) -> int:
     """Operations for each token."""
     return d if backend == "chunk" else dims * (d + rank) + rank * bits
+
+
+def prefill_cost(n: float, quadratic: float = 64.0, linear: float = 4096.0) -> float:
+    """Work of a reader over n tokens: attention grows with the square, the rest with the length."""
+    return quadratic * n * n + linear * n

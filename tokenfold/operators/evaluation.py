@@ -25,6 +25,7 @@ def evaluate(df: DataFrame, e: np.ndarray, configs: list[tuple[str, CompressOpti
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         table = sent.value
+        norm = float(np.linalg.norm(table, axis=1).mean()) if len(table) else 1.0
         words: dict = {}
         for batch in batches:
             rows = []
@@ -36,7 +37,7 @@ def evaluate(df: DataFrame, e: np.ndarray, configs: list[tuple[str, CompressOpti
                     v = words.setdefault((opts.anisotropy, opts.subword), kernels.Vocabulary(table, opts.anisotropy, opts.subword))
                     x, after = v(list(r.tokens)), v(list(r.continuation))
                     target = np.array([v.id(t) for t in r.continuation])
-                    m = kernels.compress(x, opts, 1.0)
+                    m = kernels.compress(x, opts, norm)
                     for key, model in named.items():
                         if (key, v.a, v.subword) not in full:
                             full[key, v.a, v.subword] = readers.logits(model, table, v.u, x, np.arange(len(x)), after)

@@ -70,19 +70,20 @@ both("positions_representative", f"SELECT seq_id, mpos, first_pos FROM ({_macro(
 both("positions_compact", f"SELECT seq_id, mpos, CAST(row_number() OVER (PARTITION BY seq_id ORDER BY mpos, first_pos) - 1 AS INTEGER) AS cpos FROM ({_macro(8)}) m", "documents embeddings tok")
 both("macro_order", f"SELECT seq_id, grp, CAST(rank() OVER (PARTITION BY seq_id ORDER BY mpos, first_pos) AS INTEGER) AS place FROM ({_macro(2)}) m", "documents embeddings tok")
 both("assemble_prompt", f"SELECT seq_id, count(*) AS n_macro, CAST(sum(CASE WHEN grp >= 1000000000 THEN 1 ELSE 0 END) AS BIGINT) AS kept, CAST(sum(n_members) AS BIGINT) AS n_tokens FROM ({_macro(4)}) m GROUP BY seq_id", "documents embeddings tok")
-both("causal_violations", f"""
-SELECT 'max' AS scheme, CAST(sum(CASE WHEN last_pos > mpos THEN 1 ELSE 0 END) AS BIGINT) AS late FROM ({_macro(4)}) a
-UNION ALL SELECT 'mean', CAST(sum(CASE WHEN last_pos > mpos THEN 1 ELSE 0 END) AS BIGINT) FROM ({_macro(4, 'floor(avg(pos) + 0.5)')}) b""", "documents embeddings tok")
-both("abl_position_scheme", f"""
-SELECT scheme, rho, CAST(sum(late) AS BIGINT) AS late, round(avg(late), 6) AS share FROM (
-""" + " UNION ALL ".join(f"SELECT '{n}' AS scheme, {r} AS rho, CASE WHEN last_pos > mpos THEN 1 ELSE 0 END AS late FROM ({_macro(r, p)}) m{i}" for i, (n, p, r) in enumerate((n, p, r) for n, p in (("max", "max(pos)"), ("mean", "floor(avg(pos) + 0.5)")) for r in RHOS)) + ") x GROUP BY scheme, rho", "documents embeddings tok")
+_SCHEMES = (("max", "max(pos)"), ("mean", "floor(avg(pos) + 0.5)"), ("median", "quantile_disc(pos, 0.5)"))
+_UNORDERED = "CASE WHEN mpos < lag(mpos) OVER (PARTITION BY seq_id ORDER BY first_pos) THEN 1 ELSE 0 END"
+both("causal_violations", "SELECT scheme, CAST(sum(late) AS BIGINT) AS late, CAST(sum(unordered) AS BIGINT) AS unordered FROM (" + " UNION ALL ".join(
+    f"SELECT '{n}' AS scheme, CASE WHEN last_pos > mpos THEN 1 ELSE 0 END AS late, {_UNORDERED} AS unordered FROM ({_macro(4, p)}) m{i}" for i, (n, p) in enumerate(_SCHEMES)) + ") x GROUP BY scheme", "documents embeddings tok")
+both("abl_position_scheme", "SELECT scheme, rho, CAST(sum(late) AS BIGINT) AS late, round(avg(late), 6) AS share FROM (" + " UNION ALL ".join(
+    f"SELECT '{n}' AS scheme, {r} AS rho, CASE WHEN last_pos > mpos THEN 1 ELSE 0 END AS late FROM ({_macro(r, p)}) m{i}_{r}" for i, (n, p) in enumerate(_SCHEMES) for r in RHOS) + ") x GROUP BY scheme, rho", "documents embeddings tok")
 both("position_gaps", f"""
 SELECT gap, count(*) AS n FROM (SELECT mpos - lag(mpos) OVER (PARTITION BY seq_id ORDER BY mpos, first_pos) AS gap FROM ({_macro(8)}) m) g WHERE gap IS NOT NULL GROUP BY gap""", "documents embeddings tok")
 both("identity_bypass", "SELECT seq_id, pos, pos AS mpos, tok_id FROM tok", "documents embeddings tok")
 both("uncompressed_truncated", "SELECT seq_id, count(*) AS n_kept, CAST(max(pos) AS INTEGER) AS last_pos FROM tok WHERE pos < 8192 GROUP BY seq_id", "documents embeddings tok")
 both("random_groups", f"""
-SELECT seq_id, pos, CAST(floor((rank() OVER (PARTITION BY seq_id ORDER BY md5(concat('0|random|', cast(pos AS VARCHAR(12)))), pos) - 1) * greatest(1, ceil((n - {SUFFIX}) / 4.0)) / (n - {SUFFIX})) AS INTEGER) AS grp
-FROM tok WHERE pos < n - {SUFFIX}""", "documents embeddings tok")
+SELECT seq_id, CAST(min(pos) AS INTEGER) AS first_pos, CAST(max(pos) AS INTEGER) AS last_pos, count(*) AS n_members FROM (
+  SELECT seq_id, pos, CAST(floor((rank() OVER (PARTITION BY seq_id ORDER BY {uniform_sql(0, 'random', 'pos', '0', 'duckdb')}, pos) - 1) * greatest(1, ceil((n - {SUFFIX}) / 4.0)) / (n - {SUFFIX})) AS INTEGER) AS grp
+  FROM tok WHERE pos < n - {SUFFIX}) g GROUP BY seq_id, grp""", "documents embeddings tok")
 both("w_scaling_counts", "SELECT len AS n_context, len - 12 AS body, CAST(12 + ceil((len - 12) / 4.0) AS INTEGER) AS n_macro, least(len, 8192) AS n_reference FROM (SELECT 2884 AS len UNION ALL SELECT 5780 UNION ALL SELECT 11546 UNION ALL SELECT 23092) x", "embeddings")
 
 # -- fused vectors over the frozen table taken as one sequence ----------------------------------------------------
@@ -106,7 +107,7 @@ _SCORE = f"""SELECT c.w, avg(c.cosine) AS score, count(*) AS len FROM (
 both("redundancy_score", f"SELECT w, round(score, 6) AS score, len FROM ({_SCORE}) s", "embeddings vec")
 _RHO_TAU = " UNION ALL ".join(f"SELECT {r}.0 AS rho" for r in (2, 4, 6, 8, 12, 16))
 both("route_windows", f"SELECT w, rho, CASE WHEN len <= 4 OR score < {tau_sql('cast(rho AS DOUBLE)')} THEN 'chunk' ELSE 'spectral' END AS route FROM ({_SCORE}) s CROSS JOIN (SELECT cast(rho AS DOUBLE) AS rho FROM ({_RHO_TAU}) q) r", "embeddings vec")
-both("route_constant_tau", f"SELECT CASE WHEN len <= 4 OR score < 0.55 THEN 'chunk' ELSE 'spectral' END AS route, count(*) AS n FROM ({_SCORE}) s GROUP BY 1", "embeddings vec")
+both("route_constant_tau", f"SELECT CASE WHEN len <= 4 OR score < 0.70 THEN 'chunk' ELSE 'spectral' END AS route, count(*) AS n FROM ({_SCORE}) s GROUP BY 1", "embeddings vec")
 both("tau_schedule", f"SELECT cast(rho AS DOUBLE) AS rho, round({tau_sql('cast(rho AS DOUBLE)')}, 6) AS linear, round({tau_sql('cast(rho AS DOUBLE)', 'log2')}, 6) AS log_form FROM ({_RHO_TAU}) r", "embeddings")
 
 # -- kernels ------------------------------------------------------------------------------------------------------

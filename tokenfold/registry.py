@@ -28,9 +28,21 @@ def query(name: str, sql: str | None = None) -> Callable[[Builder], Builder]:
     return add
 
 
+def implement(name: str) -> Callable[[Builder], Builder]:
+    """Put the library's own code behind a key whose text then is an oracle only."""
+
+    def replace(build: Builder) -> Builder:
+        if name not in _SQL:
+            raise ValueError(f"query {name} has no oracle to be held against")
+        _QUERIES[name] = build
+        return build
+
+    return replace
+
+
 def _load() -> None:
     """Import the modules that register queries."""
-    for name in ("stages", "papertables", "relational", "workloads"):
+    for name in ("stages", "native", "papertables", "relational", "workloads"):
         import_module(f"tokenfold.plans.{name}")
     import_module("tokenfold.streaming.streams")
 
