@@ -39,8 +39,8 @@ class Suffixes:
     run: int = 4
     #: Bits of the map of shared cores, a power of two.
     map_bits: int = 1 << 27
-    #: Suffixes of one core that a task compares; larger groups are compared window by window.
-    group: int = 5000
+    #: Suffixes of one core that a task compares, about 13 MB; larger groups are compared window by window.
+    group: int = 100_000
     #: Most cores treated so; with more of them larger groups stay in one task.
     large_cores: int = 1_000_000
 
