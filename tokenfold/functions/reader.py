@@ -22,18 +22,33 @@ class Reader:
     sliding: int | None = None
     #: Dimensions of the table that the reader sees.
     width: int | None = None
+    #: Whether the context first attends to itself, each vector to those at no later position.
+    masked: bool = False
 
 
-READERS = {"flat": Reader(), "rotary": Reader(rotary=True), "sliding": Reader(sliding=2048), "narrow16": Reader(width=16), "narrow8": Reader(width=8)}
+READERS = {"flat": Reader(), "rotary": Reader(rotary=True), "sliding": Reader(sliding=2048), "narrow16": Reader(width=16), "narrow8": Reader(width=8), "masked": Reader(rotary=True, masked=True)}
 
 
 def _unit(x: np.ndarray) -> np.ndarray:
     return x / np.maximum(np.linalg.norm(x, axis=-1, keepdims=True), 1e-12)
 
 
+def prefill(x: np.ndarray, pos: np.ndarray, beta: float = 8.0, block: int = 512) -> np.ndarray:
+    """What each vector reads in one masked pass: a mean of those at no later position, by their cosines."""
+    keys, out = _unit(x), np.empty_like(x)
+    for low in range(0, len(x), block):
+        rows = slice(low, low + block)
+        score = np.where(pos[None, :] <= pos[rows, None], beta * (keys[rows] @ keys.T), -np.inf)
+        w = np.exp(score - score.max(axis=1, keepdims=True))
+        out[rows] = (w @ x) / w.sum(axis=1, keepdims=True)
+    return out
+
+
 def logits(reader: Reader, table: np.ndarray, u: np.ndarray, context: np.ndarray, pos: np.ndarray, continuation: np.ndarray) -> np.ndarray:
     """Logits over the table's rows for each step of a teacher-forced continuation."""
     k = len(continuation)
+    if reader.masked and len(context):
+        context = (context + prefill(context, pos, reader.beta)) / 2
     s = np.concatenate([context, continuation[:-1]])
     p = np.concatenate([pos, pos[-1] + 1 + np.arange(k - 1)]).astype(float)
     s = s - np.outer(s @ u, u)
@@ -59,6 +74,20 @@ def logits(reader: Reader, table: np.ndarray, u: np.ndarray, context: np.ndarray
     return out
 
 
+def greedy(reader: Reader, table: np.ndarray, vocabulary, context: np.ndarray, pos: np.ndarray, steps: int) -> tuple[np.ndarray, list[int]]:
+    """The logits after the context, and the rows of the table that a continuation by first choices takes."""
+    first, said = None, []
+    after = np.zeros((0, context.shape[1]))
+    for _ in range(steps):
+        # the last vector of a continuation is never read, only predicted
+        z = logits(reader, table, vocabulary.u, context, pos, np.concatenate([after, np.zeros((1, context.shape[1]))]))[-1]
+        first = z if first is None else first
+        said.append(int(z.argmax()))
+        x = np.sqrt(1 - vocabulary.a) * table[said[-1]] + np.sqrt(vocabulary.a) * vocabulary.u
+        after = np.concatenate([after, x[None]])
+    return first, said
+
+
 def log_softmax(z: np.ndarray) -> np.ndarray:
     z = z - z.max(axis=-1, keepdims=True)
     return z - np.log(np.exp(z).sum(axis=-1, keepdims=True))

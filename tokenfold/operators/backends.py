@@ -30,7 +30,8 @@ def frozen_table(spark: SparkSession, sf_dir: str) -> np.ndarray:
     rows, width = df.agg(F.count("*"), F.coalesce(F.max(F.size("embedding")), F.lit(0))).first()
     if rows * width * 8 > MOST_TABLE_BYTES:
         raise ValueError(f"the frozen table has {rows} x {width} numbers, more than {MOST_TABLE_BYTES} bytes; raise MOST_TABLE_BYTES or shard the vocabulary")
-    return np.array([r["embedding"] for r in df.orderBy("vec_id").collect()], np.float64).reshape(rows, width)
+    column = df.orderBy("vec_id").select("embedding").toArrow().column(0).combine_chunks()
+    return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(rows, width)
 
 
 def _with_vectors(df: DataFrame, e: np.ndarray, opts: CompressOptions, schema: str, make, extra: tuple[str, ...] = ()) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -17,8 +18,7 @@ from tokenfold.sources.tables import settle
 
 #: Partial product matrices that one task adds up.
 FAN_IN = 64
-#: Vectors that a check with a quadratic exact side takes.
-MOST_EXACT = 8192
+MOST_EXACT = kernels.MOST_EXACT
 
 
 def on_table(spark: SparkSession, e: np.ndarray, check: Callable[[np.ndarray], list[tuple]], schema: str) -> DataFrame:
@@ -78,7 +78,7 @@ def compress_corpus(df: DataFrame, e: np.ndarray, opts: CompressOptions) -> Data
     partitioning and the partitions' sizes, so no task sees more than its share.
     """
     n, g = gram(df, e, opts)
-    target = max(1, -(-n // max(1, int(opts.rho))))
+    target = max(1, math.ceil(n / max(1.0, opts.rho)))
     values, vectors = kernels.gram_eigen(g, opts.rank)
     project = vectors if opts.weighting == "sqrt" else vectors / np.sqrt(np.maximum(values, 1e-300)) * (values if opts.weighting == "full" else 1.0)
     if opts.drop_top and project.shape[1] > 1:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 
-BACKENDS = ("none", "chunk", "chunk_budgeted", "random", "raw_lsh", "local", "adaptive", "global")
+BACKENDS = ("none", "chunk", "chunk_budgeted", "random", "raw_lsh", "local", "adaptive", "global", "dense")
 
 
 @dataclass(frozen=True)

@@ -13,7 +13,7 @@ from pyspark.sql.types import DoubleType, IntegerType, LongType, StructType
 
 from tokenfold.functions import kernels, schedule
 from tokenfold.functions.reader import READERS
-from tokenfold.operators import backends, evaluation, onesequence
+from tokenfold.operators import backends, evaluation, onesequence, studies
 from tokenfold.options import CompressOptions
 from tokenfold.plans import stages  # noqa: F401  its texts are the oracles of the functions below
 from tokenfold.plans.sqlviews import _TOK, prepared
@@ -203,7 +203,7 @@ def k2_energy(x: np.ndarray) -> list[tuple]:
     """Energy at rank 16 of 256 features: raw vectors, and vectors with a shared direction."""
     u = np.full(x.shape[1], x.shape[1] ** -0.5)
     y = np.sqrt(0.75) * x + 0.5 * u
-    return [(n, len(v), *_energy(_features(v[:2048]), 16)) for n, v in (("raw", x), ("shared", y))]
+    return [(n, len(v), *_energy(_features(v), 16)) for n, v in (("raw", x), ("shared", y))]
 
 
 @one("abl_rank_features", "rank int, dims int, trace_share double, frobenius_share double")
@@ -224,9 +224,7 @@ def abl_row_normalised(x: np.ndarray) -> list[tuple]:
 @one("dense_reference", "n_groups int, agreement double")
 def dense_reference(x: np.ndarray) -> list[tuple]:
     """Share of token pairs that the implicit operator and the exact kernel's eigenvectors treat alike."""
-    x = x[:512]
-    values, vectors = np.linalg.eigh(kernels.gaussian_kernel(x))
-    dense, ours = vectors[:, -16:-1] * np.sqrt(np.maximum(values[-16:-1], 0)), kernels.coordinates(_features(x, 512)[None], CompressOptions())[0]
+    dense, ours = kernels.dense_coordinates(x, CompressOptions()), kernels.coordinates(_features(x, 512)[None], CompressOptions())[0]
     a, b = (kernels.fit_groups_in_order(kernels.simhash(z, 6), 64) for z in (dense, ours))
     return [(64, float(((a[:, None] == a) == (b[:, None] == b)).mean()))]
 
@@ -299,7 +297,7 @@ def short_prompts(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.min_by(F.when(F.col("role") == "assistant", F.col("text")), F.when(F.col("role") == "assistant", F.col("turn"))).alias("answer"),
     )
     both = first.filter("ask IS NOT NULL AND answer IS NOT NULL")
-    return both.select("seq_id", tables.words("ask").alias("tokens"), F.slice(tables.words("answer"), 1, 16).alias("continuation"))
+    return both.select("seq_id", tables.words("ask").alias("tokens"), tables.words("answer").alias("continuation"))
 
 
 _SCHEMES = ("max", "median", "mean")
@@ -338,11 +336,7 @@ def _stress(name: str, source: Callable[[SparkSession, str], DataFrame]) -> None
     def build(spark: SparkSession, sf_dir: str) -> DataFrame:
         """Lengths, routes and distortion of each backend at ratios of 8 and 16."""
         df = tables.spread(tables.prompts(source(spark, sf_dir), "seq_id", pattern=tables.SYMBOL), always=True)
-        e, out = backends.frozen_table(spark, sf_dir), None
-        for b in ("chunk", "local", "adaptive", "global"):
-            for rho in (8, 16):
-                rows = backends.summarise(df, e, CompressOptions(backend=b, rho=rho)).select(F.lit(b).alias("backend"), F.lit(rho).alias("rho"), "*")
-                out = rows if out is None else out.unionByName(rows)
+        out = studies.summaries(df, backends.frozen_table(spark, sf_dir), evaluation.grid(("chunk", "local", "adaptive", "global"), (8, 16)))
         return out.groupBy("backend", "rho").agg(
             F.sum("n_tokens").alias("n_tokens"), (F.sum("n_tokens") / F.sum("n_macro")).alias("actual_ratio"), (F.sum("n_spectral") / F.sum("n_windows")).alias("spectral_share"),
             F.sum("late_members").alias("late_members"), F.avg("mean_score").alias("mean_score"), (F.sum("distortion") / F.sum("n_tokens")).alias("distortion"),
@@ -365,23 +359,17 @@ _stress("w_retrieval_style", retrieval_style)
 @query("route_share")
 def route_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of windows on the spectral path by ratio and threshold schedule."""
-    df, e, out = documents(spark, sf_dir), backends.frozen_table(spark, sf_dir), None
-    for kind in ("linear", "log2", "constant"):
-        for rho in RHOS:
-            rows = backends.summarise(df, e, CompressOptions(rho=rho, schedule=kind)).groupBy().agg(F.sum("n_windows").alias("n_windows"), F.sum("n_spectral").alias("n_spectral"))
-            rows = rows.select(F.lit(kind).alias("schedule"), F.lit(rho).alias("rho"), "n_windows", "n_spectral", (F.col("n_spectral") / F.col("n_windows")).alias("share"))
-            out = rows if out is None else out.unionByName(rows)
-    return out
+    configs = [(kind, CompressOptions(rho=rho, schedule=kind)) for kind in ("linear", "log2", "constant") for rho in RHOS]
+    rows = studies.summaries(documents(spark, sf_dir), backends.frozen_table(spark, sf_dir), configs).withColumnRenamed("backend", "schedule")
+    return rows.groupBy("schedule", "rho").agg(F.sum("n_windows").alias("n_windows"), F.sum("n_spectral").alias("n_spectral"), (F.sum("n_spectral") / F.sum("n_windows")).alias("share"))
 
 
 @query("abl_bits", f"WITH {_TOK} SELECT rho, sum(CASE WHEN n <= {SUFFIX} THEN n ELSE {SUFFIX} + greatest(1, CAST(ceil((n - {SUFFIX}) / cast(rho AS DOUBLE)) AS BIGINT)) END) AS n_macro FROM {_N} t CROSS JOIN (VALUES (2), (4), (8), (16)) r(rho) GROUP BY rho")
 def abl_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Groups after adjustment with bits from the ratio: exactly the target whatever the codes were."""
-    df, e, out = documents(spark, sf_dir), backends.frozen_table(spark, sf_dir), None
-    for rho in RHOS:
-        rows = backends.summarise(df, e, CompressOptions(rho=rho, backend="local")).groupBy().agg(F.sum("n_macro").alias("n_macro")).select(F.lit(rho).alias("rho"), "n_macro")
-        out = rows if out is None else out.unionByName(rows)
-    return out
+    configs = [("local", CompressOptions(rho=rho, backend="local")) for rho in RHOS]
+    rows = studies.summaries(documents(spark, sf_dir), backends.frozen_table(spark, sf_dir), configs)
+    return rows.groupBy(F.col("rho").cast("int").alias("rho")).agg(F.sum("n_macro").alias("n_macro"))
 
 
 @query("k3_purity")
@@ -405,12 +393,10 @@ def k3_purity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.groupBy("codes").agg(F.sum("pairs").alias("pairs"), F.sum("pure").alias("pure"), (F.sum("pure") / F.sum("pairs")).alias("purity"))
 
 
-@query("pack_sequences", f"""WITH {_TOK},
-d AS (SELECT seq_id, seq_id // 1024 AS shard, count(*) AS n FROM tok GROUP BY seq_id),
-s AS (SELECT shard, sum(n) AS total FROM d GROUP BY shard)
-SELECT CAST(shard * 1000000 + unnest(range(0, CAST(total // 512 AS BIGINT))) AS BIGINT) AS seq_id, CAST(512 AS INTEGER) AS n_tokens FROM s""")
+@query("pack_sequences", f"""WITH {_TOK}, t AS (SELECT count(*) AS total FROM tok)
+SELECT seq_id, CAST(least(512, total - 512 * seq_id) AS INTEGER) AS n_tokens FROM (SELECT total, unnest(range(0, CAST(ceil(total / 512.0) AS BIGINT))) AS seq_id FROM t) s""")
 def pack_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents cut into sequences of 512 tokens within shards of ids."""
+    """All documents cut into sequences of 512 tokens; the last one holds what is left."""
     docs = tables.prompts(tables.table(spark, sf_dir, "documents"), "doc_id").withColumnRenamed("seq_id", "doc_id")
     return tables.packed(docs, "doc_id", 512).select("seq_id", F.size("tokens").alias("n_tokens"))
 

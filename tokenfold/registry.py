@@ -42,7 +42,7 @@ def implement(name: str) -> Callable[[Builder], Builder]:
 
 def _load() -> None:
     """Import the modules that register queries."""
-    for name in ("stages", "native", "papertables", "relational", "workloads"):
+    for name in ("stages", "native", "papertables", "relational", "workloads", "studies"):
         import_module(f"tokenfold.plans.{name}")
     import_module("tokenfold.streaming.streams")
 

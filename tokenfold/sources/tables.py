@@ -4,7 +4,11 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -51,23 +55,42 @@ def document_prompts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prompts(table(spark, sf_dir, "documents"), "doc_id")
 
 
-def packed(df: DataFrame, order: str, length: int, continuation: int = 0, shard: int = 1024) -> DataFrame:
-    """Sequences of exactly `length` tokens (and a continuation) cut from the texts of each shard in order.
+def _counted(name: str):
+    """Tokens of the rows before each one in its partition."""
 
-    A shard is `shard` neighbouring ids, so that no running count spans the corpus; the
-    rest of a shard that fills no sequence is left out, as packed corpora do.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        before = 0
+        for batch in batches:
+            size = pc.fill_null(pc.list_value_length(batch.column("tokens")), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+            ends = before + np.cumsum(size)
+            yield batch.append_column(name, pa.array(ends - size))
+            before = int(ends[-1]) if len(ends) else before
+
+    return run
+
+
+def packed(df: DataFrame, order: str, length: int, continuation: int = 0) -> DataFrame:
+    """Sequences of `length` tokens (and a continuation) cut from all texts in order: seq_id, tokens, continuation.
+
+    A text's place is its place in its range of the order and the sum of the ranges before,
+    a row for each, so that no running count spans the corpus. Only the last sequence can
+    be short. Rows of equal keys stand in an arbitrary but settled order.
     """
-    step = length + continuation
-    w = Window.partitionBy("_shard").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
-    counted = df.withColumn("_shard", F.floor(F.col(order) / shard)).withColumn("_before", F.coalesce(F.sum(F.size("tokens")).over(w), F.lit(0)))
+    step, n = length + continuation, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranged = df.select(order, "tokens").repartitionByRange(n, order).sortWithinPartitions(order)
+    kind = ranged.schema[order].dataType.simpleString()
+    base = settle(ranged.mapInArrow(_counted("_own"), f"`{order}` {kind}, tokens array<string>, _own long").withColumn("_part", F.spark_partition_id()), "ranged")
+    totals = base.groupBy("_part").agg(F.sum(F.size("tokens")).alias("_size"))
+    earlier = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # a row for each partition
+    counted = base.join(F.broadcast(totals.select("_part", F.coalesce(F.sum("_size").over(earlier), F.lit(0)).alias("_from"))), "_part").withColumn("_before", F.col("_from") + F.col("_own"))
     first, last = F.floor(F.col("_before") / step), F.floor((F.col("_before") + F.size("tokens") - 1) / step)
-    cut = counted.filter(F.size("tokens") > 0).withColumn("_seq", F.explode(F.sequence(first, last)))
-    low = F.greatest(F.col("_seq") * step - F.col("_before"), F.lit(0)).cast("int")
-    high = F.least((F.col("_seq") + 1) * step - F.col("_before"), F.size("tokens")).cast("int")
-    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # by number: what follows is heavy, so small parts are not joined
-    parts = cut.repartition(n, "_shard", "_seq").groupBy("_shard", "_seq").agg(F.array_sort(F.collect_list(F.struct(F.col(order).alias("o"), F.slice("tokens", low + 1, high - low).alias("t")))).alias("p"))
-    whole = parts.withColumn("tokens", F.flatten(F.transform("p", lambda p: p["t"]))).filter(F.size("tokens") == step)
-    return whole.select((F.col("_shard") * 1_000_000 + F.col("_seq")).alias("seq_id"), F.slice("tokens", 1, length).alias("tokens"), F.slice("tokens", length + 1, max(continuation, 1)).alias("continuation") if continuation else F.array().cast("array<string>").alias("continuation"))
+    cut = counted.filter(F.size("tokens") > 0).withColumn("seq_id", F.explode(F.sequence(first, last)))
+    low = F.greatest(F.col("seq_id") * step - F.col("_before"), F.lit(0)).cast("int")
+    high = F.least((F.col("seq_id") + 1) * step - F.col("_before"), F.size("tokens")).cast("int")
+    # by number: what follows is heavy, so small parts are not joined
+    parts = cut.repartition(n, "seq_id").groupBy("seq_id").agg(F.array_sort(F.collect_list(F.struct(F.col("_before").alias("b"), F.slice("tokens", low + 1, high - low).alias("t")))).alias("p"))
+    whole = parts.withColumn("tokens", F.flatten(F.transform("p", lambda p: p["t"])))
+    return whole.select("seq_id", F.slice("tokens", 1, length).alias("tokens"), F.slice("tokens", length + 1, max(continuation, 1)).alias("continuation") if continuation else F.array().cast("array<string>").alias("continuation"))
 
 
 def json_like(spark: SparkSession, sf_dir: str, per_prompt: int = 200) -> DataFrame:
