@@ -142,7 +142,7 @@ def _contexts(opts: Suffixes, sent):
 def _meet(opts: Suffixes, most: int = 1 << 15):
     """The windows of each core's suffixes sorted, and equal neighbours joined; rows come sorted by core, then by rank."""
 
-    def joined(rows: pa.Table) -> pa.RecordBatch:
+    def joined(rows: pa.Table) -> pa.RecordBatch | None:
         rows = rows.combine_chunks()
         windows = rows.column("windows").combine_chunks()
         n = np.diff(windows.offsets.to_numpy())
@@ -162,15 +162,13 @@ def _meet(opts: Suffixes, most: int = 1 << 15):
         at = np.flatnonzero(count[back] > 1)
         origin = first[back[at]]
         later = origin != at
+        if not len(at):
+            return None
         own, begin = np.unique(row[at], return_index=True)
         last = np.append(begin[1:], len(at)) - 1
         s = start[at]
-        big = np.iinfo(np.int64).max
-        if len(own):
-            later_from = np.minimum.reduceat(np.where(later, s, big), begin)
-            later_to = np.maximum.reduceat(np.where(later, s + opts.words, -1), begin)
-        else:
-            later_from = later_to = np.empty(0, np.int64)
+        later_from = np.minimum.reduceat(np.where(later, s, np.iinfo(np.int64).max), begin)
+        later_to = np.maximum.reduceat(np.where(later, s + opts.words, -1), begin)
         take = pa.array(own)
         ids = rows.column("_id").combine_chunks()
         none = later_to < 0
@@ -188,15 +186,16 @@ def _meet(opts: Suffixes, most: int = 1 << 15):
             core = batch.column("core").to_numpy()
             # the last core may go on in the next batch; what is before it is whole
             whole = int(np.flatnonzero(core != core[-1])[-1]) + 1 if core[0] != core[-1] else 0
+            done: list[pa.RecordBatch] = []
             if held and not whole and held[-1].column("core")[-1].as_py() != core[0]:
-                yield joined(pa.Table.from_batches(held))
-                held = []
-            if whole and sum(b.num_rows for b in held) + whole >= most:
-                yield joined(pa.Table.from_batches([*held, batch.slice(0, whole)]))
-                held, batch = [], batch.slice(whole)
+                done, held = held, []
+            elif whole and sum(b.num_rows for b in held) + whole >= most:
+                done, held, batch = [*held, batch.slice(0, whole)], [], batch.slice(whole)
             held.append(batch)
-        if held:
-            yield joined(pa.Table.from_batches(held))
+            if done and (out := joined(pa.Table.from_batches(done))) is not None:
+                yield out
+        if held and (out := joined(pa.Table.from_batches(held))) is not None:
+            yield out
 
     return run
 
