@@ -89,7 +89,7 @@ def summaries(df: DataFrame, e: np.ndarray, configs: Configs) -> DataFrame:
                 group[own] = i
             whole = len(x) // opts.window * opts.window
             score = kernels.redundancy(x[:whole].reshape(-1, opts.window, x.shape[1])).mean() if whole else 1.0
-            routes = [s for s in m.routes if s is not None]
+            routes = [s for s in m.routes if s not in (None, "kept")]  # a prompt that is all suffix has no window
             yield (r.seq_id, name, float(opts.rho), len(x), len(m.pos), len(routes), sum(s in ("spectral", "raw") for s in routes), float(score), int((m.last > m.pos).sum()), float(((x - m.x[group]) ** 2).sum()))
 
     return _per_prompt(df, e, SUMMARIES, make)
