@@ -483,6 +483,16 @@ def test_a_notice_after_a_copyright_statement():
         assert [m["licence"] for m in scanner(text)] == ["MIT notice, licensed"], text
 
 
+def test_every_licence_of_a_document_is_returned(spark, tmp_path):
+    text = "Released under the MIT License.\nProse between the notices, long enough to keep them apart.\nLicensed under CC BY 4.0."
+    rows = [row(1, text), row(2, None), row(2, None), row(3, "No notice here.")]
+    spark.createDataFrame(rows, DOCS).write.parquet(f"{tmp_path}/documents.parquet")
+    got = sorted(licence_scan.op9_licence_dice(spark, str(tmp_path)).collect(), key=lambda r: r["doc_id"])
+    assert [r["doc_id"] for r in got] == [1, 2, 2, 3]
+    assert [(text[m["start"] : m["start"] + m["length"]], m["licence"]) for m in got[0]["matches"]] == [("Released under the MIT License.", "MIT notice"), ("Licensed under CC BY 4.0.", "CC-BY-4.0 notice")]
+    assert (got[0]["licence"], got[0]["n_matches"]) == ("MIT notice", 2)
+    assert [(r["n_matches"], r["licence"], r["matches"]) for r in got[1:]] == [(0, None, [])] * 3
+
 
 def test_shards_are_contiguous_and_balanced(docs, no_docs, corpus):
     out = sharding.byte_shards(clash(docs), 5, extra={"crc": F.crc32(F.coalesce("text", F.lit("")).cast("binary"))}).collect()

@@ -239,8 +239,13 @@ def licences(text: str | Column, templates: dict[str, str] | None = None, least:
 
 
 def op9_licence_dice(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One row for each document: its best match (ties: the earliest) and how many units matched."""
+    """One row for each document: its best match (ties: the earliest, then the longest), how many units matched, and all matches by place.
+
+    Null and empty texts have no match; repeated rows stay; texts are scanned whole, however long.
+    """
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     found = docs.select("doc_id", licences("text").alias("m"))
     first = F.array_sort("m", lambda a, b: F.when(a["dice"] > b["dice"], -1).when(a["dice"] < b["dice"], 1).when(a["start"] < b["start"], -1).when(a["start"] > b["start"], 1).otherwise(b["length"] - a["length"]))
-    return found.select("doc_id", F.size("m").alias("n_matches"), F.get(first, F.lit(0)).alias("best")).select("doc_id", "n_matches", "best.licence", "best.dice", "best.kind", "best.start", "best.length")
+    in_place = F.array_sort(F.transform("m", lambda m: F.struct(m["start"].alias("start"), m["length"].alias("length"), m["licence"].alias("licence"), m["dice"].alias("dice"), m["kind"].alias("kind"))))
+    best = found.select("doc_id", F.size("m").alias("n_matches"), F.get(first, F.lit(0)).alias("best"), in_place.alias("matches"))
+    return best.select("doc_id", "n_matches", "best.licence", "best.dice", "best.kind", "best.start", "best.length", "matches")
