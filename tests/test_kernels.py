@@ -1,12 +1,17 @@
 """Array kernels and rules against numpy and worked numbers."""
 
 import math
+from pathlib import Path
 
 import numpy as np
+import pandas as pd
 import pytest
 
 from tokenfold.functions import kernels, reader, rng, schedule
 from tokenfold.options import CompressOptions
+from tokenfold.plans import relational
+from tokenfold.sources.records import RepeatedRecords
+from tokenfold.streaming import streams
 
 
 def table(n=96, d=64, seed=0):
@@ -278,3 +283,55 @@ def test_greedy_continuations():
         first, said = reader.greedy(reader.READERS[name], e, v, x, np.arange(20), 6)
         again = [int(z.argmax()) for z in reader.logits(reader.READERS[name], e, v.u, x, np.arange(20), np.array([np.sqrt(0.75) * e[i] + 0.5 * v.u for i in said]))]
         assert said == again and said[0] == int(first.argmax())
+
+
+class _State:
+    """What fill_windows needs of a group's state."""
+
+    def __init__(self, value=None, timed_out=False):
+        self.value, self.hasTimedOut, self.waits = value, timed_out, None
+
+    exists = property(lambda self: self.value is not None)
+    get = property(lambda self: self.value)
+
+    def update(self, value):
+        self.value = value
+
+    def remove(self):
+        self.value = None
+
+    def setTimeoutDuration(self, ms):
+        self.waits = ms
+
+
+def test_windows_fill_over_batches_and_end_at_the_timeout():
+    def turn(n, tokens):
+        return pd.DataFrame({"turn": [n], "tokens": [tokens]})
+
+    state = _State()
+    first = pd.concat(streams.fill_windows((7,), iter([turn(1, [f"b{i}" for i in range(10)]), turn(0, [f"a{i}" for i in range(10)]), turn(2, None)]), state))
+    assert first.values.tolist() == [[7, 0, "a0", 16]]
+    assert state.value == (1, ["b6", "b7", "b8", "b9"])
+    assert state.waits == 3_600_000
+    state.hasTimedOut = True
+    assert pd.concat(streams.fill_windows((7,), iter([]), state)).values.tolist() == [[7, 1, "b6", 4]]
+    assert not state.exists
+    full = _State((1, []), timed_out=True)
+    assert list(streams.fill_windows((7,), iter([]), full)) == [] and not full.exists
+
+
+def test_records_split_into_ranges_without_loss():
+    for rows, parts in ((0, 3), (5, 8), (9000, 2)):
+        reader = RepeatedRecords({"rows": str(rows), "parts": str(parts)}).reader(None)
+        made = [r for p in reader.partitions() for batch in reader.read(p) for r in batch.to_pylist()]
+        assert [r["seq_id"] for r in made] == list(range(rows))
+        assert all(r["text"].count("record") == 1 + r["seq_id"] % 5 for r in made)
+    with pytest.raises(ValueError):
+        RepeatedRecords({"rows": "5", "parts": "0"}).reader(None)
+
+
+@pytest.mark.skipif(not Path("/root/testdata/sf0.001").exists(), reason="no tables")
+def test_bucketed_sides_join_without_a_shuffle(spark):
+    df = relational.sink_bucketed_join(spark, "/root/testdata/sf0.001", 4)
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Exchange" not in plan

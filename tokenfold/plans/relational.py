@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,13 +9,8 @@ from pyspark.sql import functions as F
 
 from tokenfold.plans.sqlviews import both
 from tokenfold.registry import query
-from tokenfold.sources.tables import table
-
-
-def _scratch(spark: SparkSession) -> str:
-    """A folder that driver and executors share."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}"
-    return f"{root}/tokenfold-{uuid.uuid4().hex}"
+from tokenfold.sources.records import RepeatedRecords
+from tokenfold.sources.tables import scratch, table
 
 
 # -- scans and sinks ----------------------------------------------------------------------------------------------
@@ -26,32 +20,53 @@ both("scan_parquet", "SELECT doc_id, lang, source, n_chars FROM documents", "doc
 
 @query("scan_json_roundtrip", "SELECT conv_id, turn, role, text FROM conversations")
 def scan_json_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    df, path = table(spark, sf_dir, "conversations"), _scratch(spark)
+    df, path = table(spark, sf_dir, "conversations"), scratch(spark, "roundtrip")
     df.write.json(path)
     return spark.read.schema(df.schema).json(path).select("conv_id", "turn", "role", "text")
 
 
 @query("scan_csv_roundtrip", "SELECT c_custkey, c_name, c_nationkey, c_acctbal, c_mktsegment FROM customer")
 def scan_csv_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    df, path = table(spark, sf_dir, "customer"), _scratch(spark)
+    df, path = table(spark, sf_dir, "customer"), scratch(spark, "roundtrip")
     df.write.option("header", True).csv(path)
     return spark.read.schema(df.schema).option("header", True).csv(path)
 
 
 @query("scan_orc_roundtrip", "SELECT p_partkey, p_name, p_size FROM part WHERE p_size > 10")
 def scan_orc_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = _scratch(spark)
+    path = scratch(spark, "roundtrip")
     table(spark, sf_dir, "part").write.orc(path)
     return spark.read.orc(path).filter("p_size > 10").select("p_partkey", "p_name", "p_size")
 
 
 @query("sink_partitioned_roundtrip", "SELECT lang, count(*) AS n, CAST(sum(n_chars) AS BIGINT) AS chars FROM documents WHERE lang IN ('en', 'de') GROUP BY lang")
 def sink_partitioned_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = _scratch(spark)
+    path = scratch(spark, "roundtrip")
     table(spark, sf_dir, "documents").write.partitionBy("lang").parquet(path)
     return spark.read.parquet(path).filter(F.col("lang").isin("en", "de")).groupBy("lang").agg(F.count("*").alias("n"), F.sum("n_chars").alias("chars"))
 
 
+@query("sink_bucketed_join", "SELECT o_orderkey, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderkey")
+def sink_bucketed_join(spark: SparkSession, sf_dir: str, buckets: int = 16) -> DataFrame:
+    """Both sides written in buckets of the order key once; the join and the counts then need no shuffle."""
+    sides = []
+    for name, key, columns in (("orders", "o_orderkey", ["o_orderkey"]), ("lineitem", "l_orderkey", ["l_orderkey", "l_quantity"])):
+        kept = f"bucketed_{name}_{uuid.uuid4().hex}"
+        rows = table(spark, sf_dir, name).select(*columns).repartition(buckets, key)  # a file for each bucket
+        rows.write.bucketBy(buckets, key).sortBy(key).option("path", scratch(spark, "bucketed")).saveAsTable(kept)
+        sides.append(spark.table(kept))
+    orders, lines = sides
+    joined = orders.hint("merge").join(lines, F.col("o_orderkey") == F.col("l_orderkey"))
+    return joined.groupBy("o_orderkey").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity"))
+
+
+@query("source_python_prompts", "SELECT i AS seq_id, rtrim(repeat('record ' || i || ' field ' || (i % 7) || ' ; ', CAST(1 + i % 5 AS INTEGER))) AS text FROM range(0, 1000) r(i)")
+def source_python_prompts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Prompts that repeat a record, from a Python data source: made where they are read, a task for each range of ids."""
+    spark.dataSource.register(RepeatedRecords)
+    return spark.read.format(RepeatedRecords.name()).option("rows", 1000).option("parts", 8).load()
+
+
 both("scan_html_text", "SELECT page_id, length(regexp_replace(html, '<[^>]*>', '', 'g')) AS n FROM pages", "pages", "SELECT page_id, cast(length(regexp_replace(html, '<[^>]*>', '')) AS BIGINT) AS n FROM pages")
 
 # -- filters, joins -----------------------------------------------------------------------------------------------

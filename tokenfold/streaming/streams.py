@@ -28,11 +28,14 @@ def source(spark: SparkSession, sf_dir: str, name: str, **options) -> DataFrame:
     return spark.readStream.schema(table(spark, sf_dir, name).schema).options(**options).parquet(f"{sf_dir}/{name}.parque[t]")
 
 
+def _drain(df: DataFrame, path: str, mode: str = "append") -> None:
+    df.writeStream.outputMode(mode).format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start().awaitTermination()
+
+
 def drained(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Run a stream until its source is empty and return its sink."""
     spark, path = df.sparkSession, scratch(df.sparkSession, name)
-    running = df.writeStream.outputMode(mode).format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start()
-    running.awaitTermination()
+    _drain(df, path, mode)
     return spark.read.schema(df.schema).parquet(f"{path}/rows")
 
 
@@ -81,11 +84,46 @@ def stream_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(counted.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("low"), "n"), "session")
 
 
-@query("stream_late_data", "SELECT DISTINCT user_id, event_type FROM events")
-def stream_late_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+@query("stream_dedup", "SELECT DISTINCT user_id, event_type FROM events")
+def stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Repeated pairs dropped within a watermark that spans the file, which comes as one batch."""
     seen = events(spark, sf_dir, "3650 days").dropDuplicatesWithinWatermark(["user_id", "event_type"])
-    return drained(seen.select("user_id", "event_type"), "late")
+    return drained(seen.select("user_id", "event_type"), "dedup")
+
+
+#: Events that arrive after all others.
+_STRAGGLERS = "event_id % 10 = 0"
+
+
+@query("stream_late_data", f"""WITH first_run AS (SELECT date_trunc('milliseconds', max(ts)) - INTERVAL 10 MINUTE AS closed FROM events WHERE NOT ({_STRAGGLERS}))
+SELECT * FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS low, event_type, count(*) AS n FROM events CROSS JOIN first_run
+WHERE NOT ({_STRAGGLERS}) OR time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR > closed GROUP BY 1, 2) w WHERE low + INTERVAL 1 HOUR <= {_CLOSED}""")
+def stream_late_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Hourly counts over two runs of one query: the second starts from the first one's log and drops what comes too late.
+
+    A straggler counts only where its hour was still open at the end of the first run.
+    """
+    path = scratch(spark, "late")
+    every = table(spark, sf_dir, "events").select("event_id", "event_type", "ts")
+    for wave in (f"NOT ({_STRAGGLERS})", _STRAGGLERS):
+        every.filter(wave).write.mode("append").parquet(f"{path}/in")
+        arriving = spark.readStream.schema(every.schema).parquet(f"{path}/in").withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", "10 minutes")
+        counted = arriving.groupBy(F.window("at", "1 hour").alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("low"), "event_type", "n")
+        _drain(counted, path)
+    return spark.read.schema(counted.schema).parquet(f"{path}/rows")
+
+
+@query("stream_foreach_batch", "SELECT event_type, user_id % 16 AS part, count(*) AS n FROM events GROUP BY 1, 2")
+def stream_foreach_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Partial counts of each batch in a folder of its number, so that a batch that runs again replaces its own rows."""
+    path = scratch(spark, "batches")
+
+    def put(batch: DataFrame, number: int) -> None:
+        partial = batch.groupBy("event_type", (F.col("user_id") % 16).alias("part")).agg(F.count("*").alias("n"))
+        partial.write.mode("overwrite").parquet(f"{path}/rows/batch={number}")
+
+    source(spark, sf_dir, "events").select("event_type", "user_id").writeStream.foreachBatch(put).option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{path}/rows").groupBy("event_type", "part").agg(F.sum("n").alias("n"))
 
 
 @query("stream_static_join", "SELECT c.c_mktsegment, count(*) AS n FROM events e JOIN customer c ON c.c_custkey = e.user_id GROUP BY 1")
