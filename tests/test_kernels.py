@@ -8,6 +8,7 @@ import pandas as pd
 import pytest
 
 from tokenfold.functions import kernels, reader, rng, schedule
+from tokenfold.operators import onesequence
 from tokenfold.options import CompressOptions
 from tokenfold.plans import relational
 from tokenfold.sources.records import RepeatedRecords
@@ -170,6 +171,24 @@ def test_groups_are_fitted_exactly(target):
         assert not (together(kernels.fit_groups_in_order(codes, target)) & ~together(codes)).any()
 
 
+@pytest.mark.parametrize("target", [1, 3, 17, 40, 41, 90, 299, 300])
+def test_corpus_groups_are_those_of_the_kernel(spark, target):
+    codes = np.random.default_rng(target).zipf(1.3, 300) % 64
+    codes[:100] = 5  # a third of all tokens share a code, so it spans partitions
+    place = kernels.gray_rank(codes)
+    rows = [(i // 50, i % 50, int(p)) for i, p in enumerate(place)]
+    got = {(r["seq_id"], r["pos"]): (r["place"], r["grp"]) for r in onesequence.fit_corpus(spark.createDataFrame(rows, "seq_id long, pos int, place long"), target).collect()}
+    assert len(got) == 300 and {g for _, g in got.values()} == set(range(target))
+    want = kernels.fit_groups_in_order(codes, target)
+    assert (kernels.dense_labels(np.array([got[i // 50, i % 50][1] for i in range(300)])) == want).all()
+    assert len(set(got.values())) == max(target, len(set(place)))  # codes merge whole or split, never both
+
+
+def test_no_token_makes_no_corpus_group(spark):
+    assert onesequence.fit_corpus(spark.createDataFrame([], "seq_id long, pos int, place long"), 1).count() == 0
+    assert kernels.fit_groups_in_order(np.empty(0, np.int64), 1).tolist() == []
+
+
 def test_the_largest_splits_and_the_smallest_joins_its_nearest():
     assert kernels.fit_groups(np.zeros(5, int), np.zeros((5, 1)), 2).tolist() == [0, 0, 0, 1, 1]
     z = np.array([[0.0], [0.1], [5.0], [5.1], [4.0]])

@@ -7,7 +7,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -70,12 +70,60 @@ def gram(df: DataFrame, e: np.ndarray, opts: CompressOptions) -> tuple[int, np.n
     return (last[0]["n"], np.frombuffer(last[0]["gram"], np.float64).reshape(opts.rff_dim, -1)) if last else (0, np.zeros((opts.rff_dim, opts.rff_dim)))
 
 
+def _running(df: DataFrame, order: list[str], **sums) -> DataFrame:
+    """Sums over all rows before each one, of rows in range partitions `part`: totals by partition first, then within."""
+    names = list(sums)
+    earlier = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a row for each partition
+    within = Window.partitionBy("part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    totals = df.groupBy("part").agg(*(F.sum(sums[c]).alias(c) for c in names))
+    starts = totals.select("part", *(F.coalesce(F.sum(c).over(earlier), F.lit(0)).alias(f"_{c}") for c in names))
+    own = df.select("*", *(F.coalesce(F.sum(sums[c]).over(within), F.lit(0)).alias(c) for c in names))
+    return own.join(F.broadcast(starts), "part").withColumns({c: F.col(c) + F.col(f"_{c}") for c in names}).drop(*(f"_{c}" for c in names))
+
+
+def _share(a: Column, b: Column | int, c: Column | int) -> Column:
+    """floor(a * b / c) of whole numbers, exact where the product is beyond 64 bits."""
+    a, b, c = (x.cast("decimal(19,0)") if isinstance(x, Column) else F.lit(x).cast("decimal(19,0)") for x in (a, b, c))
+    return F.call_function("div", a * b, c)
+
+
+def fit_corpus(coded: DataFrame, target: int) -> DataFrame:
+    """Groups (seq_id, pos, place, grp) of tokens with the Gray rank of their code (place), by the rule of kernels.fit_groups_in_order.
+
+    Tokens are dealt by range of (place, seq_id, pos), so a code that many tokens share
+    spans partitions; joins and ranks go by its piece in each of them.
+    """
+    parts = max(1, int(coded.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    ranged = settle(coded.repartitionByRange(parts, "place", "seq_id", "pos").withColumn("part", F.spark_partition_id()), "ranged")
+    pieces = settle(ranged.groupBy("place", "part").agg(F.count("*").alias("piece")), "pieces")
+    sizes = pieces.groupBy("place").agg(F.sum("piece").alias("size"))
+    sizes = settle(sizes.repartitionByRange(parts, "place").withColumn("part", F.spark_partition_id()), "sizes")
+    codes = _running(sizes, ["place"], start=F.col("size"), i=F.lit(1))
+    n, total = sizes.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
+    if n >= target:
+        ends = (_share(F.col("start") + F.col("size"), target, max(1, total)) > _share(F.col("start"), target, max(1, total))).cast("long")
+        codes = settle(codes.withColumn("ends", ends), "codes")
+        used = codes.agg(F.coalesce(F.sum("ends"), F.lit(0))).first()[0]
+        codes = _running(codes, ["place"], before=F.col("ends"))
+        first = F.col("before") + _share(F.col("i") - F.col("before"), target - used, max(1, n - used))
+        codes = codes.select("place", first.alias("first"), F.lit(1).cast("long").alias("runs"), "size")
+    else:
+        spare, room = target - n, max(1, total - n)
+        after = F.col("i") + 1 + _share(F.col("start") + F.col("size") - F.col("i") - 1, spare, room)
+        first = F.col("i") + _share(F.col("start") - F.col("i"), spare, room)
+        codes = codes.select("place", first.alias("first"), (after - first).alias("runs"), "size")
+    earlier = Window.partitionBy("place").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a row for each partition at most
+    pieces = pieces.withColumn("skip", F.coalesce(F.sum("piece").over(earlier), F.lit(0))).drop("piece").join(codes, "place")
+    rank = F.row_number().over(Window.partitionBy("part", "place").orderBy("seq_id", "pos")) - 1
+    placed = ranged.withColumn("own", rank).join(pieces, ["part", "place"])
+    return placed.select("seq_id", "pos", "place", (F.col("first") + _share(F.col("skip") + F.col("own"), F.col("runs"), F.col("size"))).cast("long").alias("grp"))
+
+
 def compress_corpus(df: DataFrame, e: np.ndarray, opts: CompressOptions) -> DataFrame:
-    """Groups (seq_id, pos, grp) of all tokens of wide prompts as one sequence.
+    """Groups (seq_id, pos, place, grp) of all tokens of wide prompts as one sequence: exactly the wanted number.
 
-    Tokens stand in the order of their Gray-ordered spectral codes and are cut into
-    exactly the wanted number of near-equal runs. Places come from a range
-    partitioning and the partitions' sizes, so no task sees more than its share.
+    place is the Gray rank of a token's spectral code. Codes merge whole with their
+    neighbours or are split, never both (fit_corpus).
     """
     n, g = gram(df, e, opts)
     target = max(1, math.ceil(n / max(1.0, opts.rho)))
@@ -95,11 +143,4 @@ def compress_corpus(df: DataFrame, e: np.ndarray, opts: CompressOptions) -> Data
                     z = kernels.rff(vocabulary(list(tokens)), opts.rff_dim, opts.seed, opts.kernel) @ to
                     yield pd.DataFrame({"seq_id": seq, "pos": np.arange(len(tokens), dtype=np.int32), "place": kernels.gray_rank(kernels.simhash(z, bits, opts.seed))})
 
-    coded = df.select("seq_id", "tokens").mapInPandas(codes, "seq_id long, pos int, place long")
-    parts = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    ranged = settle(coded.repartitionByRange(parts, "place", "seq_id", "pos").withColumn("part", F.spark_partition_id()), "ranged")
-    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a row for each partition
-    starts = ranged.groupBy("part").agg(F.count("*").alias("size")).withColumn("start", F.coalesce(F.sum("size").over(before), F.lit(0)))
-    rank = F.row_number().over(Window.partitionBy("part").orderBy("place", "seq_id", "pos")) - 1
-    placed = ranged.withColumn("own", rank).join(F.broadcast(starts.select("part", "start")), "part")
-    return placed.select("seq_id", "pos", F.floor((F.col("start") + F.col("own")) * F.lit(target) / F.lit(max(n, 1))).cast("long").alias("grp"))
+    return fit_corpus(df.select("seq_id", "tokens").mapInPandas(codes, "seq_id long, pos int, place long"), target)

@@ -232,12 +232,13 @@ def dense_reference(x: np.ndarray) -> list[tuple]:
 # -- one sequence over the whole cluster --------------------------------------------------------------------------
 
 
-@query("global_lsh_corpus", f"WITH {_TOK} SELECT count(*) AS n_tokens, CAST(greatest(1, ceil(count(*) / 16.0)) AS BIGINT) AS n_groups, true AS balanced FROM tok")
+@query("global_lsh_corpus", f"WITH {_TOK} SELECT count(*) AS n_tokens, CAST(greatest(1, ceil(count(*) / 16.0)) AS BIGINT) AS n_groups, true AS codes_kept FROM tok")
 def global_lsh_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents as one sequence: groups in the order of their codes, exactly as many as wanted."""
+    """Documents as one sequence: exactly as many groups as wanted, and codes only merged whole or only split."""
     made = onesequence.compress_corpus(documents(spark, sf_dir), backends.frozen_table(spark, sf_dir), CompressOptions(rho=16, backend="global", rff_dim=64))
-    sizes = made.groupBy("grp").agg(F.count("*").alias("size"))
-    return sizes.agg(F.coalesce(F.sum("size"), F.lit(0)).alias("n_tokens"), F.count("*").alias("n_groups"), (F.max("size") - F.min("size") <= 1).alias("balanced"))
+    pairs = made.groupBy("grp", "place").agg(F.count("*").alias("size"))
+    found = pairs.agg(F.coalesce(F.sum("size"), F.lit(0)).alias("n_tokens"), F.count("*").alias("n_pairs"), F.count_distinct("place").alias("n_codes"), F.count_distinct("grp").alias("n_groups"))
+    return found.select("n_tokens", "n_groups", (F.col("n_pairs") == F.greatest("n_codes", "n_groups")).alias("codes_kept"))
 
 
 # -- quality ------------------------------------------------------------------------------------------------------
