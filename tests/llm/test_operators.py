@@ -420,13 +420,16 @@ def test_piece_counts_equal_the_tokenizer(docs, corpus):
         assert counter(text)[1] == len(whole.encode(text, add_special_tokens=False).ids), text
 
 
-def test_op8_counts_are_the_shipped_models_own(spark, corpus, tmp_path):
-    sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
+def test_op8_counts_are_a_unigram_tokenizers_and_the_models_own(spark, corpus, tmp_path):
+    path = public_tokenizers.path("piece_bpe_32k.model")
+    sp = sentencepiece.SentencePieceProcessor(model_file=path)
+    whole = Tokenizer(models.Unigram(piece_counts.vocabulary(path), 0, True))
+    whole.pre_tokenizer = pre_tokenizers.Metaspace(replacement=piece_counts.MARK, prepend_scheme="always", split=True)
     odd = ["<s> </s>", "x\n\ny <s> <0x0A>", " lead  trail ", "日本語 \U0001f600", "The unbelievable tokenisation of words"]
     rows = [(i, r[1]) for i, r in enumerate(corpus)] + [(1000 + i, t) for i, t in enumerate(odd)]
     spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
-    got = {r["doc_id"]: r["n_tokens"] for r in piece_counts.op8_viterbi_counts(spark, str(tmp_path)).collect()}
-    assert got == {i: len(sp.encode(t or "")) for i, t in rows}
+    got = {r["doc_id"]: (r["n_tokens"], r["model_tokens"]) for r in piece_counts.op8_viterbi_counts(spark, str(tmp_path)).collect()}
+    assert got == {i: (len(whole.encode(t or "", add_special_tokens=False).ids), len(sp.encode(t or ""))) for i, t in rows}
 
 
 def test_ties_go_to_the_earlier_start():

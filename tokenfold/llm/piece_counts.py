@@ -1,8 +1,4 @@
-"""Token counts of the shipped piece tokenizer, and of unigram vocabularies without their tokens.
-
-The shipped piece model merges pairs by rank (BPE), so token_count asks it for its
-own segmentation of whole texts. PieceCounter is for vocabularies whose scores are
-log-probabilities; read with merge ranks, its counts belong to no tokenizer.
+"""Token counts of unigram vocabularies without their tokens, and a model's own counts beside them.
 
 An Aho-Corasick automaton names all vocabulary pieces that end at each character;
 dynamic programming carries the best score and the number of pieces on that path.
@@ -13,6 +9,10 @@ the lowest score less UNKNOWN_PENALTY and counts one token for each of its bytes
 
 Pieces hold the word mark only at their start, and pre-tokenization cuts before
 each mark, so words are scored alone and remembered.
+
+No shipped model is a unigram one: piece_bpe_32k.model merges pairs by rank (BPE), and
+its scores are minus those ranks. The counts of a unigram tokenizer with these pieces
+and scores are therefore not the model's; op8 returns both, each under its own name.
 """
 
 from __future__ import annotations
@@ -110,21 +110,24 @@ def _counter(path: str) -> PieceCounter:
     return PieceCounter(vocabulary(path))
 
 
-def piece_count(text: str | Column, path: str | None = None) -> Column:
+def piece_count(text: str | Column, path: str | None = None, own: bool = False) -> Column:
     """Struct of tokens and score of one text under a unigram reading of the vocabulary; null texts count as empty.
 
-    Whole texts are counted, whatever their length.
+    Whole texts are counted, whatever their length. own adds model_tokens, the number of
+    tokens by the model's own method.
     """
     path = path or public_tokenizers.path("piece_bpe_32k.model")
 
     def count(column: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        counter = _counter(path)
+        counter, sp = _counter(path), _tokenizer(path)[0]
         for series in column:
-            got = [counter(t) for t in texts(series)]
-            yield pd.DataFrame({"n_tokens": [n for _, n in got], "score": [s for s, _ in got]})
+            whole = texts(series)
+            got = [counter(t) for t in whole]
+            found = {"n_tokens": [n for _, n in got], "score": [s for s, _ in got]}
+            yield pd.DataFrame(found | ({"model_tokens": [len(sp.encode(t)) for t in whole]} if own else {}))
 
     count.__annotations__ = {"column": Iterator[pd.Series], "return": Iterator[pd.DataFrame]}
-    return F.pandas_udf(count, "n_tokens long, score double").asNondeterministic()(text)
+    return F.pandas_udf(count, "n_tokens long, score double" + (", model_tokens long" if own else "")).asNondeterministic()(text)
 
 
 @lru_cache(1)
@@ -156,6 +159,6 @@ def token_count(text: str | Column, path: str | None = None) -> Column:
 
 
 def op8_viterbi_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The counts of piece_bpe_32k.model itself."""
+    """Viterbi counts and scores over the pieces of piece_bpe_32k.model, and that BPE model's own counts."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return docs.select("doc_id", token_count("text").alias("c")).select("doc_id", "c.n_tokens", "c.score")
+    return docs.select("doc_id", piece_count("text", own=True).alias("c")).select("doc_id", "c.n_tokens", "c.score", "c.model_tokens")
