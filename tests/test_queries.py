@@ -113,3 +113,16 @@ def test_query(spark, duck, name):
     columns = [c[0] for c in want.description]
     assert sorted(df.columns) == sorted(columns)
     assert got == rows(columns, want.fetchall())
+
+
+@pytest.mark.parametrize("name, key", [("collision_law", "embeddings"), ("collision_law_bits", "embeddings"), ("op_cost_model", "documents"), ("prefill_cost_model", "documents")])
+def test_rules_follow_a_table(spark, duck, name, key):
+    """A rule's rows come from a given table: they are several for each of its rows, or one less for pairs of neighbours."""
+    n = duck.execute(f"SELECT count(*) FROM {key}" + (" WHERE len(regexp_extract_all(text, '[^\\x20\\x09-\\x0d]+')) > 0" if key == "documents" else "")).fetchone()[0]
+    times = {"collision_law": 1, "collision_law_bits": 4, "op_cost_model": 36, "prefill_cost_model": 4}[name]
+    assert registry.queries()[name](spark, SMALL).count() == times * (n - (key == "embeddings"))
+
+
+def test_rff_params_follow_the_width(spark, tmp_path):
+    spark.range(3).selectExpr("id AS vec_id", "array(1f, 2f, 3f) AS embedding", "0 AS label").write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert registry.queries()["rff_params"](spark, str(tmp_path)).count() == 3 * 64
