@@ -126,3 +126,19 @@ def test_rules_follow_a_table(spark, duck, name, key):
 def test_rff_params_follow_the_width(spark, tmp_path):
     spark.range(3).selectExpr("id AS vec_id", "array(1f, 2f, 3f) AS embedding", "0 AS label").write.parquet(f"{tmp_path}/embeddings.parquet")
     assert registry.queries()["rff_params"](spark, str(tmp_path)).count() == 3 * 64
+
+
+@pytest.mark.parametrize("name", ["paper_best_backend", "paper_jensen", "paper_pareto", "paper_ppl_gap", "paper_routing_savings", "paper_transition"])
+def test_analyses_follow_the_table(spark, tmp_path, name):
+    """Their rows are measured on the given vectors: of equal ones no backend loses anything, and models are their labels."""
+    spark.range(70).selectExpr("id AS vec_id", "transform(sequence(1, 64), j -> 0.125f) AS embedding", "CAST(id % 3 + 40 AS INT) AS label").write.parquet(f"{tmp_path}/embeddings.parquet")
+    found = registry.queries()[name](spark, str(tmp_path)).collect()
+    assert found and all(r["model"] in (40, 41, 42) for r in found if "model" in r)
+    for r in found:
+        for column, value in (("ppl", 1), ("above", 0), ("gap", 0), ("dnll", 0)):
+            assert column not in r or r[column] == pytest.approx(value, abs=1e-9)
+    if name == "paper_routing_savings":  # equal vectors are routed to the hash in each window beyond the last, of 6, too
+        assert {r["saved"] for r in found} == {-0.125}
+    if name == "paper_pareto":
+        assert {r["backend"]: r["total"] for r in found if r["rho"] == 16} == {b: 70 * o + 5 * 4160 for b, o in (("chunk", 64), ("raw_lsh", 512), ("adaptive", 576))}
+        assert [r["total"] for r in found if r["rho"] == 1] == [4 * (64 * 256 + 4096 * 16) + 64 * 36 + 4096 * 6]
