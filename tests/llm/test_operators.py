@@ -512,3 +512,11 @@ def test_shards_are_contiguous_and_balanced(docs, no_docs, corpus):
         assert r["shard"] == min(4, (2 * at + r["size"]) * 5 // (2 * total))
         at += r["size"]
     assert sharding.byte_shards(no_docs, 5).count() == 0
+
+
+def test_unlabelled_documents_are_joined_alike_at_any_size(spark):
+    """Few labels are not sent out whole either, so a small table moves its share of what a large one does."""
+    featured = spark.createDataFrame([(1, 5), (2, 6), (2, 7), (3, 8)], "_id long, t int")
+    found = cotraining._unlabelled(featured, spark.createDataFrame([(1, 1), (9, 0)], "_id long, quality int"))
+    assert sorted(tuple(r) for r in found.collect()) == [(2, 6), (2, 7), (3, 8)]
+    assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()

@@ -284,6 +284,11 @@ def _surest(other: DataFrame, states: dict[str, tuple], taken: dict[tuple[str, i
     return reduce(DataFrame.unionByName, parts).select("target", "view", "label", "_id", "sure")
 
 
+def _unlabelled(featured: DataFrame, said: DataFrame) -> DataFrame:
+    """Documents without a label. Both sides are dealt by id at any size: labels grow with the documents and are sent to no executor whole."""
+    return featured.join(said.select("_id").hint("merge"), "_id", "left_anti")
+
+
 def fit_views(docs: DataFrame, labels: DataFrame, targets: list[str], key: str = "doc_id", opts: CoTraining = CoTraining(), featured: DataFrame | None = None) -> dict[str, Pair]:
     """One pair of views for each label column. Null labels are left out; several of one document are averaged.
 
@@ -295,7 +300,7 @@ def fit_views(docs: DataFrame, labels: DataFrame, targets: list[str], key: str =
     known = featured.join(F.broadcast(chosen), "_id").toPandas().sort_values(["t", "m"]).drop_duplicates("_id")
     known = known.sort_values("_id", key=lambda c: c.map(lambda x: xxhash.xxh3_64_intdigest(str(x))))  # one order whatever the order of arrival
     text, meta = _rows(known["t"]), _rows(known["m"])
-    other = settle(featured.join(said.select("_id"), "_id", "left_anti"), "unlabelled")
+    other = settle(_unlabelled(featured, said), "unlabelled")
     trainings, states, out, taken = {}, {}, {}, {(t, v): set() for t in targets for v in (0, 1)}
 
     def move(t: str, new: object = None) -> None:
