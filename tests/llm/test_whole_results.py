@@ -118,6 +118,42 @@ def test_short_items_are_found_as_by_brute_force(length):
     assert got == want
 
 
+def test_runs_count_only_near_their_place():
+    rng = random.Random(3)
+    item, other = "".join(rng.choice("abcdefghijklm") for _ in range(100)), "".join(rng.choice("nopqrstuvwxyz") for _ in range(400))
+    short = cgk_decontamination.ShortItems([(0, item)], 0.2)
+    # the first quarter has enough runs, but a passage that starts over 70 characters before it and the blocks' width can't use them
+    _, about, half = short(cgk_decontamination._symbols(other[:200] + item[:25] + other[200:]))
+    assert len(about) and (about - half).min() >= 200 - 70 - cgk_decontamination.ShortItems.BLOCK
+    _, about, half = short(cgk_decontamination._symbols(other[:203] + item + other[203:]))
+    assert ((about - half <= 203) & (203 < about + half)).any()
+
+
+def test_the_bound_leaves_every_passage():
+    rng = random.Random(8)
+    items = [prose(rng, 120)[:n] for n in (20, 63, 64, 65, 128, 129, 300)]
+    bounds = cgk_decontamination.PartBounds(items, 0.2)
+    item = np.repeat(np.arange(len(items)), 40)
+    docs = [prose(rng, 9) + edited(rng, items[i], 0.01 * k) + prose(rng, 9) for i in range(len(items)) for k in range(40)]
+    pad = prose(rng, 60)
+    symbols, about = cgk_decontamination._symbols("".join(pad + d for d in docs) + pad), []
+    at = 0
+    for d in docs:
+        about.append(at + len(pad) + len(d) // 4)
+        at += len(pad) + len(d)
+    left = set(bounds(item, symbols, np.array(about), np.array([len(d) // 2 for d in docs]), step=64).tolist())
+    near = {k for k, d in enumerate(docs) if distance(items[item[k]], d) <= int(0.2 * len(items[item[k]]))}
+    assert near <= left and len(near) > 120 and len(left) < len(docs)
+
+
+def test_portions_hold_every_row_once():
+    column = ["", "ab", "abcdefgh", "a", "", "abc", "abcd"]
+    got = list(cgk_decontamination._portions(column, 4))
+    assert [t for _, own in got for t in own] == column
+    assert all(column[low : low + len(own)] == own and (len(own) == 1 or sum(map(len, own)) <= 4) for low, own in got)
+    assert list(cgk_decontamination._portions([], 4)) == []
+
+
 @pytest.mark.parametrize("share", [0.1, 0.2])
 def test_recall_at_the_limit_of_edits(share):
     rng = random.Random(int(100 * share))

@@ -171,26 +171,31 @@ class ShortItems:
     """Where items that are searched exactly may stand, by counts of their runs of four characters.
 
     A passage with e edits shares at least n - 3 - 4 e such runs with its item of n
-    characters, so neighbouring blocks of a text that hold fewer runs of the item do not
-    hold it. Runs are hashed, which only raises counts; the counters of four items lie
-    side by side in one integer.
+    characters, and each of these is at most e places off. So the runs of either half of
+    an item are counted where that half may lie if the passage starts in a block of the
+    text, and a block with fewer runs in all starts no passage. Runs are hashed, which
+    only raises counts; the counters of eight halves lie side by side in one integer.
     """
 
-    RUN, BLOCK, LANES, BITS, JOINED = 4, 16, 4, 13, 8
+    RUN, BLOCK, PARTS, LANES, BITS, JOINED = 4, 16, 2, 8, 16, 8
 
     def __init__(self, items: list[tuple[int, str]], edits: float):
         self.columns = []
-        ordered = sorted(items, key=lambda x: len(x[1]))
-        for low in range(0, len(ordered), self.LANES):
-            some = ordered[low : low + self.LANES]
-            counts, need, longest = np.zeros(1 << self.BITS, np.uint64), [], 0
-            for lane, (_, t) in enumerate(some):
-                slack = int(edits * len(t))
-                counts[np.unique(self.runs(_symbols(t)))] |= np.uint64(1 << 16 * lane)
-                need.append(max(0, len(t) - self.RUN + 1 - self.RUN * slack))
-                longest = max(longest, len(t) + slack)
-            blocks = max(0, longest - self.RUN - 1) // self.BLOCK + 2
-            self.columns.append((np.array([i for i, _ in some]), counts, np.array(need), blocks))
+        ordered, each = sorted(items, key=lambda x: len(x[1])), self.LANES // self.PARTS
+        for low in range(0, len(ordered), each):
+            some = ordered[low : low + each]
+            counts, places, lane = np.zeros(1 << self.BITS, np.uint64), [], 0
+            for _, t in some:
+                slack, runs = int(edits * len(t)), self.runs(_symbols(t))
+                spans = []
+                for k in range(self.PARTS):
+                    a, b = k * len(runs) // self.PARTS, (k + 1) * len(runs) // self.PARTS
+                    counts[np.unique(runs[a:b])] |= np.uint64(1 << 8 * lane)
+                    # first block and end of those that a start anywhere in a block reaches
+                    spans.append((lane, max(0, a - slack) // self.BLOCK, (self.BLOCK + b - 2 + slack) // self.BLOCK + 1))
+                    lane += 1
+                places.append((max(0, len(t) - self.RUN + 1 - self.RUN * slack), spans))
+            self.columns.append((np.array([i for i, _ in some]), counts, places))
 
     def runs(self, symbols: np.ndarray) -> np.ndarray:
         wide, n = symbols.astype(np.uint32), max(0, len(symbols) - self.RUN + 1)
@@ -204,13 +209,15 @@ class ShortItems:
         n = -(-len(symbols) // self.BLOCK)
         padded = np.zeros(n * self.BLOCK + self.RUN - 1, np.uint8)
         padded[: len(symbols)] = symbols
-        runs, found = self.runs(padded), [np.empty((3, 0), np.int64)]
-        for items, counts, need, blocks in self.columns:
-            each = counts[runs].reshape(n, self.BLOCK).sum(axis=1)
-            total = each.copy()
-            for k in range(1, min(blocks, n)):
-                total[: n - k] += each[k:]
-            lane, block = np.nonzero((total.view(np.uint16).reshape(n, self.LANES)[:, : len(items)] >= need).T)
+        runs, found = np.ascontiguousarray(self.runs(padded).reshape(n, self.BLOCK).T), [np.empty((3, 0), np.int64)]
+        for items, counts, places in self.columns:
+            each = counts.take(runs).sum(axis=0).view(np.uint8).reshape(n, self.LANES)
+            ends = max(end for _, spans in places for *_, end in spans)
+            before = np.zeros((self.LANES, n + ends), np.int32)
+            np.cumsum(each.T, axis=1, out=before[:, 1 : n + 1])
+            before[:, n + 1 :] = before[:, n : n + 1]
+            enough = [sum(before[lane, end : end + n] - before[lane, low : low + n] for lane, low, end in spans) >= need for need, spans in places]
+            lane, block = np.nonzero(np.stack(enough))
             # neighbouring blocks are one candidate, up to JOINED of them
             new = np.flatnonzero((np.diff(block, prepend=-2) != 1) | (np.diff(lane, prepend=-1) != 0))
             run = np.repeat(np.arange(len(new)), np.diff(new, append=len(block)))
@@ -249,47 +256,58 @@ class PartBounds:
 
     def _least(self, part: np.ndarray, symbols: np.ndarray, low: np.ndarray, length: int) -> np.ndarray:
         """Least distance of each part to a stretch of the symbols from low on."""
-        masks, row = self.masks.reshape(-1), part * 256
+        masks, row, n = self.masks.reshape(-1), part * 256, len(part)
         free = (64 - self.size[part]).astype(np.uint64)
-        rise, fall = ~((np.uint64(1) << free) - np.uint64(1)), np.zeros(len(part), np.uint64)
-        score = self.size[part].astype(np.int16)
+        rise, fall = ~((np.uint64(1) << free) - np.uint64(1)), np.zeros(n, np.uint64)
+        # no score is over 64; bytes keep the sums of signs free of conversions
+        score = self.size[part].astype(np.int8)
         best = score.copy()
-        for c in symbols[np.minimum(low[None, :] + np.arange(length)[:, None], len(symbols) - 1)]:
-            same = masks[row + c]
-            x = same & rise
+        same, x, up, down = (np.empty(n, np.uint64) for _ in range(4))
+        at, c, sign = np.empty(n, np.int64), np.empty(n, np.int64), np.empty(n, bool)
+        for k in range(length):
+            symbols.take(np.add(low, k, out=at), out=c, mode="clip")
+            np.add(row, c, out=at)
+            masks.take(at, out=same, mode="clip")
+            np.bitwise_and(same, rise, out=x)
             x += rise
             x ^= rise
             x |= same
             x |= fall
-            down = rise & x
-            up = x | rise
+            np.bitwise_and(rise, x, out=down)
+            np.bitwise_or(x, rise, out=up)
             np.invert(up, out=up)
             up |= fall
-            score += up.view(np.int64) < 0
-            score -= down.view(np.int64) < 0
+            score += np.less(up.view(np.int64), 0, out=sign).view(np.int8)
+            score -= np.less(down.view(np.int64), 0, out=sign).view(np.int8)
             np.minimum(best, score, out=best)
             up <<= _ONE
             down <<= _ONE
-            fall = up & x
+            np.bitwise_and(up, x, out=fall)
             x |= up
             np.invert(x, out=x)
-            rise = down | x
+            np.bitwise_or(down, x, out=rise)
         return best
 
-    def __call__(self, item: np.ndarray, symbols: np.ndarray, about: np.ndarray, wide: np.ndarray, step: int = 2048) -> np.ndarray:
+    def __call__(self, item: np.ndarray, symbols: np.ndarray, about: np.ndarray, wide: np.ndarray, step: int = 4096) -> np.ndarray:
         """Which candidates the bound leaves; about: where the item may start, give or take `wide` and its edits."""
-        left, limit = np.flatnonzero(item >= 0), self.limit[item]
-        total, r = np.zeros(len(item), np.int64), 0
-        while True:
-            more = left[self.count[item[left]] > r]
-            if not len(more):
-                return left
-            more = more[np.argsort(limit[more] + wide[more], kind="stable")]
-            for low in range(0, len(more), step):
-                own = more[low : low + step]
-                part, slack = self.first[item[own]] + r, limit[own] + wide[own]
-                total[own] += self._least(part, symbols, np.maximum(about[own] + self.low[part] - slack, 0), int(64 + 2 * slack.max()))
-            left, r = left[total[left] <= limit[left]], r + 1
+        limit, symbols = self.limit[item], symbols.astype(np.int64)
+        total = np.zeros(len(item), np.int64)
+
+        def add(which: np.ndarray, part: np.ndarray) -> None:
+            slack = limit[which] + wide[which]
+            order = np.argsort(self.size[part] + 2 * slack, kind="stable")
+            for low in range(0, len(order), step):
+                own = order[low : low + step]
+                start = np.maximum(about[which[own]] + self.low[part[own]] - slack[own], 0)
+                np.add.at(total, which[own], self._least(part[own], symbols, start, int((self.size[part[own]] + 2 * slack[own]).max())))
+
+        # the first part decides most; the others of what it leaves go together
+        add(np.arange(len(item)), self.first[item])
+        left = np.flatnonzero(total <= limit)
+        n = self.count[item[left]] - 1
+        nth = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        add(np.repeat(left, n), np.repeat(self.first[item[left]], n) + 1 + nth)
+        return left[total[left] <= limit[left]]
 
 
 class Items:
@@ -301,6 +319,8 @@ class Items:
     def __init__(self, items: list[tuple[object, str]], opts: Walks, needs: tuple[int, ...] | None = None):
         self.opts, self.walker = opts, Walker(opts)
         self.items = [(key, folded(t)) for key, t in items if t]
+        #: Characters to search at once: candidates grow with them and with the items.
+        self.portion = max(1 << 18, (1 << 28) // max(1 << 8, len(self.items)))
         self.reverse: dict[int, tuple[EditDistance, EditDistance]] = {}
         needs = needs or walks_by_length(opts)
         exact, symbols, at, of, offset, need, total = [], [], [], [], [], [], 0
@@ -396,15 +416,26 @@ class Items:
         return [(d, i, *got) for (d, i), got in sorted(best.items())]
 
 
+def _portions(column: list[str], most: int) -> Iterator[tuple[int, list[str]]]:
+    """First row and texts of each portion of at most so many characters; a longer text is one of its own."""
+    low, size = 0, 0
+    for i, t in enumerate(column):
+        if i > low and size + len(t) > most:
+            yield low, column[low:i]
+            low, size = i, 0
+        size += len(t)
+    if low < len(column):
+        yield low, column[low:]
+
+
 def _search(items: list[tuple[object, str]], opts: Walks, item_type: pa.DataType, names: list[str]):
     needs = walks_by_length(opts)
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         block = Items(items, opts, needs)
         for batch in batches:
-            for low in range(0, batch.num_rows, 128):
-                part = batch.slice(low, 128)
-                found = block(texts(part.column(1).to_pylist()))
+            for low, own in _portions(texts(batch.column(1).to_pylist()), block.portion):
+                part, found = batch.slice(low, len(own)), block(own)
                 yield pa.RecordBatch.from_arrays([
                     part.column(0).take(pa.array([f[0] for f in found], pa.int32())), pa.array([block.items[f[1]][0] for f in found], item_type),
                     *(pa.array([f[k] for f in found], pa.int32()) for k in (2, 3, 4)),
@@ -433,8 +464,8 @@ def _holds(rows: list[tuple[object, str]], opts: Walks):
         block = Items(rows, opts, needs)
         for series in column:
             out = np.zeros(len(series), bool)
-            for low in range(0, len(series), 128):
-                out[[low + f[0] for f in block(texts(series[low : low + 128]))]] = True
+            for low, own in _portions(texts(series), block.portion):
+                out[[low + f[0] for f in block(own)]] = True
             yield pd.Series(out)
 
     holds.__annotations__ = {"column": Iterator[pd.Series], "return": Iterator[pd.Series]}
