@@ -1,5 +1,6 @@
 """Every query of the registry on the smallest tables, against its DuckDB text where it has one."""
 
+import hashlib
 import math
 import os
 from pathlib import Path
@@ -142,3 +143,13 @@ def test_analyses_follow_the_table(spark, tmp_path, name):
     if name == "paper_pareto":
         assert {r["backend"]: r["total"] for r in found if r["rho"] == 16} == {b: 70 * o + 5 * 4160 for b, o in (("chunk", 64), ("raw_lsh", 512), ("adaptive", 576))}
         assert [r["total"] for r in found if r["rho"] == 1] == [4 * (64 * 256 + 4096 * 16) + 64 * 36 + 4096 * 6]
+
+
+def test_tokens_are_joined_to_the_vocabulary(spark, tmp_path):
+    """Every token of a document, repeated ones too, meets its row of the given table in a broadcast hash join."""
+    spark.createDataFrame([(7, "one two one"), (8, ""), (9, None)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.range(5).selectExpr("id AS vec_id", "array(CAST(3 * id AS FLOAT), CAST(4 * id AS FLOAT)) AS embedding", "CAST(id + 40 AS INT) AS label").write.parquet(f"{tmp_path}/embeddings.parquet")
+    found = registry.queries()["join_broadcast_vocab"](spark, str(tmp_path))
+    row = {w: int(hashlib.md5(w.encode()).hexdigest()[:8], 16) % 5 for w in ("one", "two")}
+    assert sorted(map(tuple, found.collect())) == [(7, i, w, row[w], row[w] + 40, 5.0 * row[w]) for i, w in enumerate(("one", "two", "one"))]
+    assert "BroadcastHashJoin" in found._jdf.queryExecution().executedPlan().toString()
